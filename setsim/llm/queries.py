@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from setsim.llm.decontaminate import op2_decontaminate
+from setsim.llm.embeddings import op4_embeddings
 from setsim.llm.html import op10_html
 from setsim.llm.language import op6_language
 from setsim.llm.packing import op8_packing
@@ -13,6 +14,7 @@ from setsim.llm.tokens import op7_token_counts
 QUERIES = {
     "op1_sharding": op1_sharding,
     "op2_decontaminate": op2_decontaminate,
+    "op4_embeddings": op4_embeddings,
     "op5_quality": op5_quality,
     "op6_language": op6_language,
     "op7_token_counts": op7_token_counts,
