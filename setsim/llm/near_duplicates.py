@@ -280,3 +280,17 @@ def _repeated(member: DataFrame) -> bool:
 def op3_near_duplicates(spark, sf_dir: str) -> DataFrame:
     """Contract of operator 3 over whole ``documents``."""
     return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text"))
+
+
+def keep_one(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", broadcast_rows: int = 500_000, **options) -> DataFrame:
+    """The rows of ``docs`` with one document (the least id) of each group, rows that repeat an id once; columns unchanged."""
+    scratch = Scratch(docs.sparkSession, "keep_one")
+    found = near_duplicates(docs, doc_id=doc_id, text=text, **options)
+    gone = scratch.save(found.filter("doc_id <> component_id").select(F.col("doc_id").alias(doc_id)).distinct(), "gone")
+    few = gone.count() <= broadcast_rows
+    kept = docs.join(F.broadcast(gone) if few else gone, doc_id, "left_anti")
+    again = scratch.save(docs.filter(F.col(doc_id).isNotNull()).groupBy(doc_id).count().filter("count > 1").select(doc_id), "again")
+    if again.isEmpty():
+        return kept.select(docs.columns)
+    once = kept.join(again, doc_id, "left_semi").dropDuplicates([doc_id])
+    return kept.join(again, doc_id, "left_anti").select(docs.columns).unionByName(once.select(docs.columns))
