@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
@@ -30,6 +31,14 @@ def slices(sizes: list[int], rows: int = BATCH_ROWS, limit: int = BATCH_BYTES) -
         yield begin, len(sizes)
 
 
+def text_slices(batch: pa.RecordBatch, column: int, rows: int = BATCH_ROWS, limit: int = BATCH_BYTES) -> Iterator[tuple[pa.RecordBatch, list]]:
+    """Parts of a batch with their texts as Python bytes; only one part's texts exist at a time."""
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()
+    for a, b in slices(sizes, rows, limit):
+        part = batch.slice(a, b - a)
+        yield part, part.column(column).to_pylist()
+
+
 def text_column(setup: Callable[[], Callable[[list], list]], ddl: str, text: str | Column) -> Column:
     """Column of ``setup()(list of UTF-8 bytes or None)``; not re-evaluated by filters on it."""
     kind = arrow_kind(ddl)
@@ -38,10 +47,9 @@ def text_column(setup: Callable[[], Callable[[list], list]], ddl: str, text: str
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         work = setup()
         for batch in batches:
-            texts = batch.to_pylist()
             done: list = []
-            for a, b in slices([len(t or b"") for t in texts]):
-                done += work(texts[a:b])
+            for _, texts in text_slices(pa.RecordBatch.from_arrays([batch], names=["t"]), 0):
+                done += work(texts)
             yield pa.array(done, kind)
 
     return F.arrow_udf(run, _parse_datatype_string(ddl)).asNondeterministic()(col.cast("binary"))

@@ -14,6 +14,12 @@ has content). The set that stops first has one full part more than can be spoilt
 signature with content. A set that runs out of parts before has too few elements for that and also emits its empty
 subsets; of two such sets, both do.
 
+*Frequent elements.* Shingles of passages that many documents share would fill buckets with documents that have nothing
+else in common. One pass over all texts finds them (at least ``HOT_RATE`` of the documents of a batch, at most
+``HOT_MOST`` of them, the most frequent first). Signatures are enumerated on the other elements; a set that is short of
+full parts without the frequent ones adds the signatures of all its elements. The argument above holds for either
+element set alone, so which elements are called frequent decides about cost, never about results.
+
 *Groups.* In a bucket of equal signatures every document is first compared with one pivot, the least id: a group of
 m copies costs m comparisons. Only then, and only between documents that are not yet connected, the other pairs of
 a bucket are compared, so that no link between components is lost. Pairs inside a component are never made.
@@ -38,11 +44,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setsim.llm.columns import slices
+from setsim.llm.columns import text_slices
 from setsim.operators.components import connected_components
 from setsim.scratch import Scratch
 
-WORDS, NUM, DEN, SUBPARTS, BITMAP = 5, 4, 5, 3, 16
+WORDS, NUM, DEN, SUBPARTS, BITMAP = 5, 4, 5, 3, 8
+HOT_RATE, HOT_MOST, BROADCAST_ROWS = 0.002, 500_000, 500_000
 _BITS = [f"w{k}" for k in range(BITMAP)]
 _ODD = [np.uint64(x | 1) for x in np.random.default_rng(7).integers(1 << 62, 1 << 63, 64, dtype=np.uint64).tolist()]
 
@@ -116,33 +123,45 @@ def parts_of(j: int, num: int = NUM, den: int = DEN) -> int:
     return need + need // 8
 
 
-def signatures(h: np.ndarray, num: int = NUM, den: int = DEN) -> np.ndarray:
-    """Distinct signatures of one set."""
+def _enumerate(h: np.ndarray, j: int, delta: int, parts: int, kind: int, empties: bool) -> tuple[list[np.ndarray], bool]:
+    """Signatures of one element set in size class j, and whether it had full parts enough."""
+    spread = _mix(h + _ODD[41 + kind])
+    cell = ((spread >> np.uint64(32)) % np.uint64(parts) * np.uint64(SUBPARTS) + ((spread & np.uint64(0xFFFFFFFF)) * np.uint64(SUBPARTS) >> np.uint64(32))).astype(np.int64)
+    content = _mix(h + _ODD[43 + kind])
+    held = np.bincount(cell, minlength=parts * SUBPARTS).reshape(parts, SUBPARTS) > 0
+    low, high = (np.bincount(cell, x.astype(np.float64), parts * SUBPARTS).astype(np.uint64) for x in (content & np.uint64(0xFFFFFFFF), content >> np.uint64(32)))
+    sums = (low + (high << np.uint64(32))).reshape(parts, SUBPARTS)
+    passed = (held.sum(1) >= 2).cumsum()
+    enough = bool(passed[-1] > delta // 2)
+    stop = int(np.searchsorted(passed, delta // 2 + 1)) + 1 if enough else parts
     out = []
+    for i, k in ((0, 1), (0, 2), (1, 2)):
+        salt = np.arange(stop, dtype=np.uint64) * np.uint64(512) + np.uint64(j * 8 + kind * 4 + i + k)
+        sig = _mix(_mix(sums[:stop, i] * _ODD[45] + sums[:stop, k] * _ODD[46]) + salt * _ODD[47])
+        out.append(sig[held[:stop, i] | held[:stop, k]] if enough or not empties else sig)
+    return out, enough
+
+
+def signatures(h: np.ndarray, hot: np.ndarray | None = None, num: int = NUM, den: int = DEN) -> np.ndarray:
+    """Signatures of one set; ``hot`` are the sorted frequent elements."""
+    out: list[np.ndarray] = []
+    rare = h
+    if hot is not None and len(hot):
+        at = np.minimum(np.searchsorted(hot, h), len(hot) - 1)
+        rare = h[hot[at] != h]
     for j, delta in classes_of(len(h), num, den):
         parts = parts_of(j, num, den)
-        spread = _mix(h + _ODD[41])
-        cell = ((spread >> np.uint64(32)) % np.uint64(parts) * np.uint64(SUBPARTS) + ((spread & np.uint64(0xFFFFFFFF)) * np.uint64(SUBPARTS) >> np.uint64(32))).astype(np.int64)
-        content = _mix(h + _ODD[42])
-        held = np.bincount(cell, minlength=parts * SUBPARTS).reshape(parts, SUBPARTS) > 0
-        low, high = (np.bincount(cell, x.astype(np.float64), parts * SUBPARTS).astype(np.uint64) for x in (content & np.uint64(0xFFFFFFFF), content >> np.uint64(32)))
-        sums = (low + (high << np.uint64(32))).reshape(parts, SUBPARTS)
-        full = held.sum(1) >= 2
-        passed = full.cumsum()
-        enough = passed[-1] > delta // 2
-        stop = int(np.searchsorted(passed, delta // 2 + 1)) + 1 if enough else parts
-        for i, k in ((0, 1), (0, 2), (1, 2)):
-            salt = np.arange(stop, dtype=np.uint64) * np.uint64(256) + np.uint64(j * 4 + i + k)
-            sig = _mix(_mix(sums[:stop, i] * _ODD[43] + sums[:stop, k] * _ODD[44]) + salt * _ODD[45])
-            out.append(sig[held[:stop, i] | held[:stop, k]] if enough else sig)
+        found, enough = _enumerate(rare, j, delta, parts, 0, False)
+        out += found
+        if not enough:
+            out += _enumerate(h, j, delta, parts, 1, True)[0]
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
 
 def _batches(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[np.ndarray]]]:
     for batch in batches:
-        texts = batch.column(1).to_pylist()
-        for a, b in slices([len(t or b"") for t in texts]):
-            yield batch.slice(a, b - a), shingle_sets(texts[a:b])
+        for part, texts in text_slices(batch, 1, limit=4 << 20):
+            yield part, shingle_sets(texts)
 
 
 def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -152,25 +171,36 @@ def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(k1), pa.array(k2), *(pa.array(bits[:, k]) for k in range(BITMAP))], names=["doc_id", "n", "k1", "k2", *_BITS])
 
 
-def _signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    seen: set[int] = set()
+def _frequent(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch, sets in _batches(batches):
-        k1, _ = set_keys(sets)
-        ids = batch.column(0).to_numpy()
-        sigs, owners = [], []
-        for doc_id, s, k in zip(ids, sets, k1.tolist(), strict=True):
-            if k in seen or not len(s):  # a copy within this task has the same signatures; its class has one member here
-                continue
-            if len(seen) > 200_000:
-                seen.clear()
-            seen.add(k)
-            sig = signatures(s)
-            sigs.append(sig)
-            owners.append(np.full(len(sig), doc_id, np.int64))
-        if sigs:
-            sig, owner = np.concatenate(sigs).view(np.int64), np.concatenate(owners)
-            for a in range(0, len(sig), 65_536):
-                yield pa.RecordBatch.from_arrays([pa.array(sig[a : a + 65_536]), pa.array(owner[a : a + 65_536])], names=["sig", "id"])
+        every, counts = np.unique(np.concatenate(sets), return_counts=True)
+        keep = counts >= max(4, HOT_RATE * len(sets))
+        yield pa.RecordBatch.from_arrays([pa.array(every[keep].view(np.int64)), pa.array(counts[keep].astype(np.int64))], names=["h", "n"])
+
+
+def _signed(shared):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
+        hot = shared.value
+        for batch, sets in _batches(batches):
+            k1, _ = set_keys(sets)
+            ids = batch.column(0).to_numpy()
+            sigs, owners = [], []
+            for doc_id, s, k in zip(ids, sets, k1.tolist(), strict=True):
+                if k in seen or not len(s):  # a copy within this task has the same signatures; its class has one member here
+                    continue
+                if len(seen) > 200_000:
+                    seen.clear()
+                seen.add(k)
+                sig = signatures(s, hot)
+                sigs.append(sig)
+                owners.append(np.full(len(sig), doc_id, np.int64))
+            if sigs:
+                sig, owner = np.concatenate(sigs).view(np.int64), np.concatenate(owners)
+                for a in range(0, len(sig), 65_536):
+                    yield pa.RecordBatch.from_arrays([pa.array(sig[a : a + 65_536]), pa.array(owner[a : a + 65_536])], names=["sig", "id"])
+
+    return run
 
 
 def _stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -230,13 +260,20 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         return classes.select(F.col("cid").alias(side), F.col("n").alias(f"n{side}"), *[F.col(w).alias(f"{w}{side}") for w in _BITS])
 
     live = rows.filter("t IS NOT NULL AND doc_id IS NOT NULL")
-    signed = live.mapInArrow(_signed, "sig long, id long").repartition("sig").sortWithinPartitions("sig", "id")
-    stars = scratch.save(signed.mapInArrow(_stars, "sig long, id long, pivot long"), "stars")
-
-    def representatives(pairs: DataFrame) -> DataFrame:
-        """Pairs of class ids of pairs of ids, each once."""
-        a, b = member.select(F.col("doc_id").alias("a"), F.col("cid").alias("ca")), member.select(F.col("doc_id").alias("b"), F.col("cid").alias("cb"))
-        once = pairs.join(a, "a").join(b, "b").filter("ca <> cb").select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b")).distinct()
+    frequent = live.mapInArrow(_frequent, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "h").limit(HOT_MOST)
+    hot = np.sort(frequent.select("h").toPandas()["h"].to_numpy(np.int64).view(np.uint64))  # HOT_MOST numbers at most
+    signed = live.mapInArrow(_signed(spark.sparkContext.broadcast(hot)), "sig long, id long").repartition("sig").sortWithinPartitions("sig", "id")
+    # copies that reached several tasks are replaced by their class's id; few of them are sent along, many are joined
+    copies = scratch.save(member.filter("doc_id <> cid"), "copies")
+    small = F.broadcast if copies.count() <= BROADCAST_ROWS else (lambda df: df)
+    stars = signed.mapInArrow(_stars, "sig long, id long, pivot long")
+    for c in ("id", "pivot"):
+        stars = stars.join(small(copies.select(F.col("doc_id").alias(c), F.col("cid").alias(f"{c}_class"))), c, "left").withColumn(c, F.coalesce(f"{c}_class", c)).drop(f"{c}_class")
+    stars = scratch.save(stars.filter("id <> pivot").select("sig", "id", "pivot"), "stars")
+
+    def possible(pairs: DataFrame) -> DataFrame:
+        """Pairs of class ids that sizes and bitmaps allow, each once."""
+        once = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         return once.join(sketch("a"), "a").join(sketch("b"), "b").filter(can_be_similar(num, den)).select("a", "b").distinct()
 
     def verified(pairs: DataFrame, name: str) -> DataFrame:
@@ -247,15 +284,15 @@ def near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "tex
         scratch.drop(f"{name}_sets")
         return links
 
-    first = scratch.save(representatives(stars.select(F.col("id").alias("a"), F.col("pivot").alias("b")).distinct()), "first")
+    first = scratch.save(possible(stars.select(F.col("id").alias("a"), F.col("pivot").alias("b"))), "first")
     links = verified(first, "first")
     found = connected_components(links)
 
     # what is left: pairs of one bucket in different components
-    joined = stars.select("sig", "id").union(stars.select("sig", F.col("pivot").alias("id")).distinct()).join(member.withColumnRenamed("doc_id", "id"), "id")
+    joined = stars.select("sig", F.explode(F.array("id", "pivot")).alias("cid")).distinct()
     joined = joined.join(found.withColumnsRenamed({"node": "cid"}), "cid", "left").select("sig", "cid", F.coalesce("component", "cid").alias("g"))
     mixed = joined.groupBy("sig").agg(F.min("g").alias("lo"), F.max("g").alias("hi")).filter("lo <> hi").select("sig")
-    open_ = scratch.save(joined.join(mixed, "sig", "left_semi").distinct(), "open")
+    open_ = scratch.save(joined.join(mixed, "sig", "left_semi"), "open")
     left = open_.withColumnsRenamed({"cid": "a", "g": "ga"}).join(sketch("a"), "a")
     right = open_.withColumnsRenamed({"cid": "b", "g": "gb"}).join(sketch("b"), "b")
     second = left.join(right, (left["sig"] == right["sig"]) & (F.col("a") < F.col("b")) & (F.col("ga") != F.col("gb")) & can_be_similar(num, den))

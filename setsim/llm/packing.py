@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setsim.llm.columns import slices
+from setsim.llm.columns import text_slices
 from setsim.llm.tokens import default_tokenizer, encoder
 from setsim.scratch import Scratch
 
@@ -70,10 +70,9 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", capacit
         kind = pa.type_for_alias(id_type)
         for batch in batches:
             kind = batch.column(0).type
-            keys, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for a, b in slices([len(t or b"") for t in texts]):
+            for part, texts in text_slices(batch, 1, limit=2 << 20):
                 done: list = []
-                for key, t in zip(keys[a:b], texts[a:b], strict=True):
+                for key, t in zip(part.column(0).to_pylist(), texts, strict=True):
                     ids = (enc.ids(t.decode("utf-8", "replace")) if t else b"") + end
                     n = len(ids) >> 2
                     for start, length, k in cuts(n, capacity):
