@@ -70,7 +70,7 @@ def precision_by_size(collection: Collection, spec: SimSpec, b: int = 64, varian
     """Share of similar pairs among those the filter keeps, by the size of the larger set (no cutoff)."""
     kept = tested_candidates(collection, spec, BitmapSpec(variant, b, cutoff=None)).filter("kept")
     checked = overlaps(kept, collection.sets, collection.sets, spec).select("n_r", spec.accepts_col("overlap", "n_r", "n_s").alias("similar"))
-    per = checked.groupBy("n_r").agg(F.count("*").alias("unpruned"), F.count_if("similar").alias("similar"))
+    per = checked.groupBy("n_r").agg(F.count("*").alias("unpruned"), F.count_if(F.col("similar")).alias("similar"))
     return per.select(F.col("n_r").alias("n"), "unpruned", "similar", F.round(F.col("similar") / F.col("unpruned"), 6).alias("precision"))
 
 
@@ -128,7 +128,7 @@ def wins(runs: DataFrame) -> DataFrame:
     long = runs.select("input", "threshold", "method", F.explode(F.array(F.struct(F.lit("orig").alias("form"), F.col("seconds_orig").alias("s")), F.struct(F.lit("hbf").alias("form"), F.col("seconds_hbf").alias("s")))).alias("x")).select("input", "threshold", "method", "x.form", "x.s")
     place = lambda *extra: F.rank().over(Window.partitionBy("input", "threshold", *extra).orderBy("s"))
     ranked = long.withColumns({"in_form": place("form"), "overall": place()})
-    return ranked.groupBy("method", "form").agg(F.count_if("in_form = 1").alias("wins_in_form"), F.count_if("overall = 1").alias("wins_overall"))
+    return ranked.groupBy("method", "form").agg(F.count_if(F.col("in_form") == 1).alias("wins_in_form"), F.count_if(F.col("overall") == 1).alias("wins_overall"))
 
 
 def share_improved(runs: DataFrame) -> DataFrame:
