@@ -6,6 +6,8 @@ next stage's ``docs``. All stages but the last return the columns of ``docs``.
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
 from setsim.llm.decontaminate import decontaminate
 from setsim.llm.lines import dedup_lines
 from setsim.llm.near_duplicates import keep_one
@@ -20,8 +22,9 @@ def quality(spark, docs, sf_dir):
 
 
 def lines(spark, docs, sf_dir):
-    """Lines that no earlier line resembles; documents that lose all their lines go."""
-    return dedup_lines(docs, drop_emptied=True)
+    """Lines that no earlier line resembles; documents that lose all their lines go, ``n_chars`` follows the text."""
+    kept = dedup_lines(docs, drop_emptied=True)
+    return kept.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else kept
 
 
 def near_duplicates(spark, docs, sf_dir):

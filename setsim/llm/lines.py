@@ -3,14 +3,13 @@
 A line is the set of its distinct lower-cased words (64-bit hashes). A line goes if an earlier line (by document id,
 then line number) has a Jaccard similarity of ``num/den`` or more with it.
 
-1. Words are ordered by rarity: occurrences over all lines, counted in ``CELLS`` hash cells, then by hash.
+1. Words are ordered by rarity: occurrences over all texts, counted in ``CELLS`` hash cells, then by hash.
 2. Lines of equal sets form one class, represented by its first line; copies of it go without any comparison.
 3. Of every class the words of its prefix (size - least overlap + 1 rarest words) are posted. Classes that meet at a
    word pass length, positional and bitmap bounds (a 64-bit parity bitmap; its Hamming distance bounds the overlap)
    inside the plan; survivors are verified on the full word sets.
-4. At every word all classes first meet only the earliest class posted there. A class that it makes redundant is
-   settled: a group of m near copies costs m verifications. Only classes that are still open then meet all earlier
-   classes of their words.
+4. At their rarest words all classes first meet only the earliest class posted there. A class that it makes redundant
+   is settled: a group of m near copies costs m verifications. Then all pairs meet whose later class is still open.
 
 Defined results: lines without words (blank lines) always stay; null texts stay null; rows that repeat both id and
 text are one document and get the same result; null ids come last; a document whose lines all go keeps an empty text
@@ -19,6 +18,8 @@ text are one document and get the same result; null ids come last; a document wh
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -29,30 +30,27 @@ _LAST = 2**63 - 1
 
 
 def line_words(line: Column) -> Column:
-    """Distinct word hashes of a line."""
-    words = F.split(F.lower(line), "[ \\t\\x0B\\f\\r]+")
+    """Distinct word hashes of a line; words are separated by blanks, tabs, carriage returns and form feeds."""
+    low = F.lower(line)
+    odd = F.contains(line, F.lit("\t")) | F.contains(line, F.lit("\r")) | F.contains(line, F.lit("\x0b")) | F.contains(line, F.lit("\x0c"))
+    words = F.when(odd, F.split(low, "[ \\t\\x0B\\f\\r]+")).otherwise(F.split(low, " "))  # one blank splits without a pattern
     return F.array_distinct(F.transform(F.array_remove(words, ""), lambda w: F.xxhash64(w)))
 
 
-def _lines(docs: DataFrame) -> DataFrame:
-    """One row per line with words: document key, line number, word hashes."""
-    lines = docs.filter("t IS NOT NULL").select("d", "h", F.posexplode(F.split("t", "\n")).alias("ln", "line"))
-    return lines.select("d", "h", "ln", line_words(F.col("line")).alias("words")).filter(F.size("words") > 0)
+def has_words(line: Column) -> Column:
+    return line.rlike("[^ \\t\\x0B\\f\\r]")
 
 
 def _rarity(docs: DataFrame) -> Column:
-    """Array literal: occurrences per hash cell over all lines (``CELLS`` numbers reach the driver)."""
-    counted = _lines(docs).select(F.explode("words").alias("w")).groupBy(F.col("w").bitwiseAND(F.lit(CELLS - 1)).cast("int").alias("c")).count()
+    """Array literal: the rank of a hash cell's number of words over all texts, on a logarithmic scale up to 127."""
+    words = docs.select(F.explode(F.split(F.lower(F.replace("t", F.lit("\n"), F.lit(" "))), " ")).alias("w"))
+    counted = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(CELLS - 1)).cast("int").alias("c")).count()
     cells = [0] * CELLS
-    for c, n in counted.collect():
-        cells[c] = min(n, 2**30 - 1)
+    for c, n in counted.collect():  # at most CELLS rows
+        cells[c] = min(127, round(4 * math.log2(n + 1)))
     return F.split(F.lit(",".join(map(str, cells))), ",").cast("array<int>")
 
 
-def _least_overlap(n: Column, num: int, den: int) -> Column:
-    return ((n * num + (den - 1)) / den).cast("long")  # sizes are far below 2^53: the quotient is exact enough to floor
-
-
 def _needed(a: str, b: str, num: int, den: int) -> Column:
     return F.expr(f"(({a} + {b}) * {num} + {num + den - 1}) div {num + den}")
 
@@ -66,62 +64,70 @@ def _bounds(num: int, den: int) -> Column:
     return length & position & bitmap
 
 
-def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataFrame:
-    """From ``(d, h, t)``: the kept lines with words, as ``(d, h, ln)``; every other line with words is redundant."""
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "lines")
+def _classes(docs: DataFrame, num: int, den: int) -> DataFrame:
+    """Lines of equal word sets as one row: size, bitmap, rarest words (the prefix) and the first line's place."""
     cells = _rarity(docs)
-    packed = F.transform("words", lambda w: F.shiftleft(F.element_at(cells, w.bitwiseAND(F.lit(CELLS - 1)).cast("int") + 1).cast("long"), 33) + F.shiftrightunsigned(w, 31))
-    n = F.size("words").cast("long")
-    lines = _lines(docs).select(
-        "d", "h", "ln", n.alias("n"),
-        F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int")))).alias("w"),
-        F.sort_array(packed).alias("order"),
-        F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(w)).alias("k1"),
-        F.aggregate("words", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(F.xxhash64(w))).alias("k2"),
-    )
-    lines = lines.select("d", "h", "ln", "n", "w", "k1", "k2", F.slice("order", 1, (F.col("n") - _least_overlap(F.col("n"), num, den) + 1).cast("int")).alias("prefix"))
+    rank = lambda w: F.get(cells, w.bitwiseAND(F.lit(CELLS - 1)).cast("int")).cast("long")
+    lines = docs.filter("t IS NOT NULL").select("d", "h", F.posexplode(F.split("t", "\n")).alias("ln", "line")).filter(has_words(F.col("line")))
+    words = lines.select("d", "h", "ln", line_words(F.col("line")).alias("words"))
+    order = F.sort_array(F.transform("words", lambda w: F.shiftleft(rank(w), 56).bitwiseOR(F.shiftrightunsigned(w, 8))))
+    words = words.select("d", "h", "ln", order.alias("order"))
+    bit = lambda w: F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))
+    bitmap = F.aggregate("order", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
+    n = F.size("order").cast("long")
+    prefix = F.transform(F.slice("order", 1, (n - F.expr(f"(CAST(size(`order`) AS BIGINT) * {num} + {den - 1}) div {den}") + 1).cast("int")), lambda w: F.shiftrightunsigned(w, 24))
+    keyed = words.select("d", "h", "ln", n.alias("n"), F.xxhash64("order").alias("k1"), F.xxhash64("order", F.lit(1)).alias("k2"), bitmap.alias("w"), prefix.alias("prefix"))
     first = F.min(F.struct("d", "ln", "h", "w", "prefix"))
-    classes = lines.groupBy("k1", "k2", "n").agg(first.alias("f")).select(F.monotonically_increasing_id().alias("cid"), "n", "f.d", "f.ln", "f.h", "f.w", "f.prefix")
-    classes = scratch.save(classes, "classes")
+    return keyed.groupBy("k1", "k2", "n").agg(first.alias("f")).select(F.monotonically_increasing_id().alias("cid"), "n", "f.d", "f.ln", "f.h", "f.w", "f.prefix")
 
-    posted = classes.select("cid", "d", "n", "w", F.posexplode("prefix").alias("p", "word"))
-    at_word = Window.partitionBy("word").orderBy("d", "cid")
-    whole = Window.partitionBy("word")
-    meeting = posted.select("word", "cid", "d", "n", "p", "w", F.count("*").over(whole).alias("met"), F.first(F.struct("cid", "n", "p", "w")).over(at_word).alias("f"))
-    meeting = scratch.save(meeting.filter("met > 1").drop("met"), "meeting")
 
-    def fits(pairs: DataFrame) -> DataFrame:
-        return pairs.filter(_bounds(num, den)).select("a", "b").distinct()
+def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataFrame:
+    """From ``(d, h, t)``: the kept lines with words, as ``(d, h, ln)``; every other line with words is redundant."""
+    scratch = Scratch(docs.sparkSession, "lines")
+    classes = scratch.save(_classes(docs, num, den), "classes")
 
-    order = classes.select("cid", F.struct("d", "ln", "h", "cid").alias("o"))
+    def small(df: DataFrame) -> DataFrame:
+        return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
     def verified(pairs: DataFrame, name: str) -> DataFrame:
         """Later classes ``cid`` of the pairs that are similar."""
         needed = scratch.save(pairs.select(F.explode(F.array("a", "b")).alias("cid")).distinct(), f"{name}_needed")
-        place = needed.join(classes.select("cid", "d", "ln", "h"), "cid")
-        few = needed.count() <= BROADCAST_ROWS
+        place = scratch.save(classes.select("cid", "d", "ln", "h").join(small(needed), "cid"), f"{name}_place")
         own = place.groupBy("d", "h").agg(F.collect_list(F.struct("ln", "cid")).alias("at"))
+        few = place.count() <= BROADCAST_ROWS
         texts = docs.join(F.broadcast(own) if few else own, ["d", "h"]).select("t", "at").select(F.split("t", "\n").alias("ls"), F.explode("at").alias("x"))
         sets = texts.select("x.cid", line_words(F.element_at("ls", F.col("x.ln") + 1)).alias("words")).dropDuplicates(["cid"])
-        sets = scratch.save(sets.join(order, "cid"), f"{name}_sets")
+        sets = scratch.save(sets.join(place.select("cid", F.struct("d", "ln", "h", "cid").alias("o")), "cid"), f"{name}_sets")
         both = pairs.join(sets.select(F.col("cid").alias("a"), F.col("words").alias("x"), F.col("o").alias("oa")), "a").join(sets.select(F.col("cid").alias("b"), F.col("words").alias("y"), F.col("o").alias("ob")), "b")
         shared = F.size(F.array_intersect("x", "y"))
         similar = both.filter(shared * (num + den) >= (F.size("x") + F.size("y")) * num)
         return scratch.save(similar.select(F.greatest("oa", "ob")["cid"].alias("cid")).distinct(), f"{name}_later")
 
-    pairs = meeting.filter("cid <> f.cid").select(F.least("cid", "f.cid").alias("a"), F.greatest("cid", "f.cid").alias("b"), F.col("n").alias("na"), F.col("p").alias("pa"), F.col("w").alias("wa"), F.col("f.n").alias("nb"), F.col("f.p").alias("pb"), F.col("f.w").alias("wb"))
-    met = scratch.save(fits(pairs), "first")
+    def pairs_of(df: DataFrame) -> DataFrame:
+        return df.select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b")).distinct()
+
+    # first every class meets only the earliest class at its rarest words (the shorter of its two prefixes)
+    short = (F.col("n") - _needed("n", "n", num, den) + 1).cast("int")
+    rarest = classes.select(F.col("cid").alias("ca"), "d", F.col("n").alias("na"), F.col("w").alias("wa"), F.posexplode(F.slice("prefix", 1, short)).alias("pa", "word"))
+    earliest = F.first(F.struct("ca", "na", "pa", "wa")).over(Window.partitionBy("word").orderBy("d", "ca"))
+    star = rarest.withColumn("f", earliest).filter("ca <> f.ca").select("ca", "na", "pa", "wa", F.col("f.ca").alias("cb"), F.col("f.na").alias("nb"), F.col("f.pa").alias("pb"), F.col("f.wa").alias("wb"))
+    met = scratch.save(pairs_of(star.filter(_bounds(num, den))), "first")
     gone = verified(met, "first")
 
-    every = meeting.select("word", "cid", "d", "n", "p", "w")
-    open_ = every.join(gone, "cid", "left_anti").select("word", F.col("cid").alias("ca"), F.col("d").alias("da"), F.col("n").alias("na"), F.col("p").alias("pa"), F.col("w").alias("wa"))
-    others = every.select(F.col("word").alias("word_b"), F.col("cid").alias("cb"), F.col("d").alias("db"), F.col("n").alias("nb"), F.col("p").alias("pb"), F.col("w").alias("wb"))
-    near = open_.join(others, (F.col("word") == F.col("word_b")) & (F.col("ca") != F.col("cb")) & (F.col("db") <= F.col("da")) & _bounds(num, den))
-    rest = near.select(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b")).distinct().join(met, ["a", "b"], "left_anti")
-    gone = gone.union(verified(scratch.save(rest, "rest"), "rest")).distinct()
-    scratch.drop("meeting")
-    return classes.join(gone, "cid", "left_anti").select("d", "h", "ln")
+    # then all pairs whose later class is still open; the smaller class of a pair needs the shorter prefix only
+    flagged = classes.join(small(gone.withColumn("gone", F.lit(True))), "cid", "left").withColumn("open", F.col("gone").isNull())
+
+    def posted(side: str, prefix: Column) -> DataFrame:
+        named = [F.col(c).alias(f"{x}{side}") for c, x in (("cid", "c"), ("d", "d"), ("n", "n"), ("w", "w"), ("open", "open"))]
+        return flagged.select(*named, F.posexplode(prefix).alias(f"p{side}", f"word{side}"))
+
+    larger, smaller = posted("a", F.col("prefix")), posted("b", F.slice("prefix", 1, short))
+    sizes = (F.col("nb") < F.col("na")) | ((F.col("nb") == F.col("na")) & (F.col("cb") < F.col("ca")))
+    later_open = F.when(F.col("da") > F.col("db"), F.col("opena")).when(F.col("da") < F.col("db"), F.col("openb")).otherwise(F.col("opena") | F.col("openb"))
+    near = larger.join(smaller, (F.col("worda") == F.col("wordb")) & sizes & later_open & _bounds(num, den))
+    rest = scratch.save(pairs_of(near).join(met, ["a", "b"], "left_anti"), "rest")
+    gone = scratch.save(gone.union(verified(rest, "rest")).distinct(), "gone")
+    return classes.join(small(gone), "cid", "left_anti").select("d", "h", "ln")
 
 
 def dedup_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", num: int = NUM, den: int = DEN, drop_emptied: bool = False, counts: bool = False) -> DataFrame:
@@ -135,7 +141,7 @@ def dedup_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text",
     few = kept.count() <= BROADCAST_ROWS
     joined = keyed.join(F.broadcast(kept) if few else kept, ["__d", "__h"], "left")
     lines = F.split(F.col(text), "\n")
-    stays = F.filter(F.transform(lines, lambda x, i: F.when(F.array_contains(F.coalesce("__kept", F.array().cast("array<int>")), i) | (F.trim(F.regexp_replace(x, "[\\t\\x0B\\f\\r]", " ")) == ""), x)), lambda x: x.isNotNull())
+    stays = F.filter(F.transform(lines, lambda x, i: F.when(F.array_contains(F.coalesce("__kept", F.array().cast("array<int>")), i) | ~has_words(x), x)), lambda x: x.isNotNull())
     joined = joined.withColumn("__stays", stays)
     columns = [F.col(f"`{c}`") if c != text else F.when(F.col(text).isNotNull(), F.array_join("__stays", "\n")).alias(text) for c in docs.columns]
     if drop_emptied:
