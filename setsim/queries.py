@@ -208,7 +208,7 @@ def _theory() -> None:
     share = "(2 * CAST(tau AS DOUBLE) / (1 + CAST(tau AS DOUBLE)))"
     bound = "CASE variant WHEN 'or' THEN n - b * (pow(1 - 1.0::DOUBLE / b, n) - pow(1 - 1.0::DOUBLE / b, 2 * n)) WHEN 'xor' THEN n - b::DOUBLE / 4 * (1 - pow(1 - 2.0::DOUBLE / b, 2 * n)) ELSE least(n * n / b::DOUBLE, n) END"
     register("cutoff_table", lambda spark, d: theory.cutoff_table(spark), f"""WITH g AS (SELECT * FROM (VALUES ('or'), ('xor'), ('probe')) v(variant), (VALUES (64), (256), (1024), (4096)) w(b), (VALUES ('0.5'), ('0.6'), ('0.7'), ('0.8'), ('0.9')) t(tau)),
-e AS (SELECT variant, b, tau, n, {bound} AS bound FROM g, range(1, 40000) r(n))
+e AS (SELECT variant, b, tau, n, {bound} AS bound FROM g, range(1, 40000) r(n)),
 x AS (SELECT variant, b, tau, min(n) - 1 AS c FROM e WHERE bound > {share} * n GROUP BY variant, b, tau)
 SELECT variant, b, tau, CAST(c AS INTEGER) AS cutoff, c / b::DOUBLE AS relative FROM x""")
     register("expected_bound_curve", lambda spark, d: theory.bound_curve(spark), f"""WITH g AS (SELECT variant, CAST(n AS INTEGER) AS n, 64 AS b FROM (VALUES ('or'), ('xor'), ('probe')) v(variant), range(1, 201) r(n)), e AS (SELECT variant, n, {bound} / n AS y FROM g)
