@@ -6,7 +6,7 @@ then line number) has a Jaccard similarity of ``num/den`` or more with it.
 1. Words are ordered by rarity: occurrences over all texts, counted in ``CELLS`` hash cells, then by hash.
 2. Lines of equal sets form one class, represented by its first line; copies of it go without any comparison.
 3. Of every class the words of its prefix (size - least overlap + 1 rarest words) are posted. Classes that meet at a
-   word pass length, positional and bitmap bounds (a 64-bit parity bitmap; its Hamming distance bounds the overlap)
+   word pass length, positional and bitmap bounds (a 128-bit parity bitmap; its Hamming distance bounds the overlap)
    inside the plan; survivors are verified on the full word sets.
 4. At their rarest words all classes first meet only the earliest class posted there. A class that it makes redundant
    is settled: a group of m near copies costs m verifications. Then all pairs meet whose later class is still open.
@@ -56,11 +56,11 @@ def _needed(a: str, b: str, num: int, den: int) -> Column:
 
 
 def _bounds(num: int, den: int) -> Column:
-    """Length, position (0-based, at the shared word) and bitmap bounds on columns ``na, pa, wa, nb, pb, wb``."""
+    """Length, position (0-based, at the shared word) and bitmap bounds on columns ``na, pa, wa, va`` and their likes."""
     need = _needed("na", "nb", num, den)
     length = F.least("na", "nb") * den >= F.greatest("na", "nb") * num
     position = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= need
-    bitmap = (F.col("na") + F.col("nb") - F.bit_count(F.col("wa").bitwiseXOR(F.col("wb")))) >= 2 * need
+    bitmap = (F.col("na") + F.col("nb") - F.bit_count(F.col("wa").bitwiseXOR(F.col("wb"))) - F.bit_count(F.col("va").bitwiseXOR(F.col("vb")))) >= 2 * need
     return length & position & bitmap
 
 
@@ -73,12 +73,12 @@ def _classes(docs: DataFrame, num: int, den: int) -> DataFrame:
     order = F.sort_array(F.transform("words", lambda w: F.shiftleft(rank(w), 56).bitwiseOR(F.shiftrightunsigned(w, 8))))
     words = words.select("d", "h", "ln", order.alias("order"))
     bit = lambda w: F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))
-    bitmap = F.aggregate("order", F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
+    half = lambda k: F.aggregate(F.filter("order", lambda w: w.bitwiseAND(F.lit(64)) == 64 * k), F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
     n = F.size("order").cast("long")
     prefix = F.transform(F.slice("order", 1, (n - F.expr(f"(CAST(size(`order`) AS BIGINT) * {num} + {den - 1}) div {den}") + 1).cast("int")), lambda w: F.shiftrightunsigned(w, 24))
-    keyed = words.select("d", "h", "ln", n.alias("n"), F.xxhash64("order").alias("k1"), F.xxhash64("order", F.lit(1)).alias("k2"), bitmap.alias("w"), prefix.alias("prefix"))
-    first = F.min(F.struct("d", "ln", "h", "w", "prefix"))
-    return keyed.groupBy("k1", "k2", "n").agg(first.alias("f")).select(F.monotonically_increasing_id().alias("cid"), "n", "f.d", "f.ln", "f.h", "f.w", "f.prefix")
+    keyed = words.select("d", "h", "ln", n.alias("n"), F.xxhash64("order").alias("k1"), F.xxhash64("order", F.lit(1)).alias("k2"), half(0).alias("w"), half(1).alias("v"), prefix.alias("prefix"))
+    first = F.min(F.struct("d", "ln", "h", "w", "v", "prefix"))
+    return keyed.groupBy("k1", "k2", "n").agg(first.alias("f")).select(F.monotonically_increasing_id().alias("cid"), "n", "f.d", "f.ln", "f.h", "f.w", "f.v", "f.prefix")
 
 
 def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataFrame:
@@ -108,9 +108,9 @@ def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataF
 
     # first every class meets only the earliest class at its rarest words (the shorter of its two prefixes)
     short = (F.col("n") - _needed("n", "n", num, den) + 1).cast("int")
-    rarest = classes.select(F.col("cid").alias("ca"), "d", F.col("n").alias("na"), F.col("w").alias("wa"), F.posexplode(F.slice("prefix", 1, short)).alias("pa", "word"))
-    earliest = F.first(F.struct("ca", "na", "pa", "wa")).over(Window.partitionBy("word").orderBy("d", "ca"))
-    star = rarest.withColumn("f", earliest).filter("ca <> f.ca").select("ca", "na", "pa", "wa", F.col("f.ca").alias("cb"), F.col("f.na").alias("nb"), F.col("f.pa").alias("pb"), F.col("f.wa").alias("wb"))
+    rarest = classes.select(F.col("cid").alias("ca"), "d", F.col("n").alias("na"), F.col("w").alias("wa"), F.col("v").alias("va"), F.posexplode(F.slice("prefix", 1, short)).alias("pa", "word"))
+    earliest = F.first(F.struct("ca", "na", "pa", "wa", "va")).over(Window.partitionBy("word").orderBy("d", "ca"))
+    star = rarest.withColumn("f", earliest).filter("ca <> f.ca").select("ca", "na", "pa", "wa", "va", F.col("f.ca").alias("cb"), F.col("f.na").alias("nb"), F.col("f.pa").alias("pb"), F.col("f.wa").alias("wb"), F.col("f.va").alias("vb"))
     met = scratch.save(pairs_of(star.filter(_bounds(num, den))), "first")
     gone = verified(met, "first")
 
@@ -118,7 +118,7 @@ def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataF
     flagged = classes.join(small(gone.withColumn("gone", F.lit(True))), "cid", "left").withColumn("open", F.col("gone").isNull())
 
     def posted(side: str, prefix: Column) -> DataFrame:
-        named = [F.col(c).alias(f"{x}{side}") for c, x in (("cid", "c"), ("d", "d"), ("n", "n"), ("w", "w"), ("open", "open"))]
+        named = [F.col(c).alias(f"{x}{side}") for c, x in (("cid", "c"), ("d", "d"), ("n", "n"), ("w", "w"), ("v", "v"), ("open", "open"))]
         return flagged.select(*named, F.posexplode(prefix).alias(f"p{side}", f"word{side}"))
 
     larger, smaller = posted("a", F.col("prefix")), posted("b", F.slice("prefix", 1, short))
