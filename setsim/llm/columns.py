@@ -6,7 +6,7 @@ from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
 from pyspark.sql.types import _parse_datatype_string
@@ -31,6 +31,13 @@ def slices(sizes: list[int], rows: int = BATCH_ROWS, limit: int = BATCH_BYTES) -
         yield begin, len(sizes)
 
 
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that ``df`` does not use."""
+    while base in df.columns:
+        base += "_"
+    return base
+
+
 def text_slices(batch: pa.RecordBatch, column: int, rows: int = BATCH_ROWS, limit: int = BATCH_BYTES) -> Iterator[tuple[pa.RecordBatch, list]]:
     """Parts of a batch with their texts as Python bytes; only one part's texts exist at a time."""
     sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()

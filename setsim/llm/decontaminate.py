@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setsim.llm.columns import text_column
+from setsim.llm.columns import free_name, text_column
 
 #: Lower-cases A-Z, keeps a-z, 0-9 and every byte above ASCII, turns the rest into a separator.
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -108,7 +108,8 @@ def _blocks(bench: DataFrame, item_id: str, text: str, window: int, block_bytes:
 
 
 def benchmark_hits(docs: DataFrame, bench: DataFrame, *, text: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = 10, out: str = "hits", block_bytes: int = 16 << 20) -> DataFrame:
-    """All rows and columns of ``docs`` plus ``out``: words, merged hit spans ``[starts, ends)`` and item ids found."""
+    """All rows and columns of ``docs`` plus ``out`` (replacing a column of that name): words, merged hit spans and item ids found."""
+    docs = docs.drop(out)
     names: list[str] = []
     for k, block in enumerate(_blocks(bench, item_id, item_text, window, block_bytes)):
         block.order_by(_counted(docs, text, block) if block.vocab else np.zeros(0))
@@ -118,7 +119,7 @@ def benchmark_hits(docs: DataFrame, bench: DataFrame, *, text: str = "text", ite
             block = shared.value
             return lambda texts: [block.hits(t) for t in texts]
 
-        names.append(f"__{out}_{k}")
+        names.append(free_name(docs, f"__{out}_{k}"))
         docs = docs.withColumn(names[-1], text_column(setup, _HITS, text))
     if len(names) == 1:
         return docs.withColumnRenamed(names[0], out)
@@ -138,7 +139,7 @@ def benchmark_hits(docs: DataFrame, bench: DataFrame, *, text: str = "text", ite
 
 def decontaminate(docs: DataFrame, bench: DataFrame, **options) -> DataFrame:
     """The rows of ``docs`` without any benchmark window; columns unchanged."""
-    out = "__contamination"
+    out = free_name(docs, "__contamination")
     return benchmark_hits(docs, bench, out=out, **options).filter(F.size(F.col(f"{out}.starts")) == 0).drop(out)
 
 

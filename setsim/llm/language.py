@@ -66,15 +66,16 @@ class SuffixAutomaton:
             last = cur
 
     def table(self, alphabet: int) -> np.ndarray:
-        """Dense transitions; the sign bit marks that a phrase ended and a new one starts at the root."""
-        root = np.full(alphabet, _RESTART, np.int32)
+        """Dense transitions; the sign bit marks that a phrase starts. The last row is the state before any phrase."""
+        begin = len(self.next)
+        root = np.full(alphabet, np.int32(begin) | _RESTART, np.int32)  # a symbol that never occurs is a phrase of its own
         for c, s in self.next[0].items():
             root[c] = s | _RESTART
-        t = np.tile(root, (len(self.next), 1))
+        t = np.tile(root, (begin + 1, 1))
         for s, out in enumerate(self.next):
             for c, to in out.items():
                 t[s, c] = to
-        t[:, _PAD] = np.arange(len(self.next), dtype=np.int32)
+        t[:, _PAD] = np.arange(begin + 1, dtype=np.int32)
         return (t & np.int32(2**31 - 1)) * alphabet | (t & _RESTART)  # states come multiplied by the row width
 
 
@@ -113,13 +114,13 @@ class CrossParser:
         lanes = symbols[steps]
         lanes[np.arange(len(lanes))[:, None] >= sizes[None, :]] = _PAD
         for k, table in enumerate(self.tables):
-            state = np.zeros(len(who), np.int32)
-            ended = np.ones(len(who), np.int32)
+            state = np.full(len(who), len(table) - ALPHABET, np.int32)
+            begun = np.zeros(len(who), np.int32)
             for row in lanes:
                 np.take(table, state + row, out=state)
-                ended -= state >> 31
+                begun -= state >> 31
                 state &= 2**31 - 1
-            out[:, k] = np.bincount(who, ended, len(texts))
+            out[:, k] = np.bincount(who, begun, len(texts))
         return out
 
     def predict(self, texts: list[bytes | None]) -> list[dict]:

@@ -23,6 +23,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from setsim.llm.columns import free_name
 from setsim.scratch import Scratch
 
 NUM, DEN, CELLS, BROADCAST_ROWS = 4, 5, 1 << 16, 500_000
@@ -55,12 +56,13 @@ def _needed(a: str, b: str, num: int, den: int) -> Column:
     return F.expr(f"(({a} + {b}) * {num} + {num + den - 1}) div {num + den}")
 
 
-def _bounds(num: int, den: int) -> Column:
+def _bounds(num: int, den: int, words: str = "wv") -> Column:
     """Length, position (0-based, at the shared word) and bitmap bounds on columns ``na, pa, wa, va`` and their likes."""
     need = _needed("na", "nb", num, den)
     length = F.least("na", "nb") * den >= F.greatest("na", "nb") * num
     position = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= need
-    bitmap = (F.col("na") + F.col("nb") - F.bit_count(F.col("wa").bitwiseXOR(F.col("wb"))) - F.bit_count(F.col("va").bitwiseXOR(F.col("vb")))) >= 2 * need
+    apart = sum((F.bit_count(F.col(f"{w}a").bitwiseXOR(F.col(f"{w}b"))) for w in words), F.lit(0))
+    bitmap = (F.col("na") + F.col("nb") - apart) >= 2 * need
     return length & position & bitmap
 
 
@@ -73,7 +75,7 @@ def _classes(docs: DataFrame, num: int, den: int) -> DataFrame:
     order = F.sort_array(F.transform("words", lambda w: F.shiftleft(rank(w), 56).bitwiseOR(F.shiftrightunsigned(w, 8))))
     words = words.select("d", "h", "ln", order.alias("order"))
     bit = lambda w: F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))
-    half = lambda k: F.aggregate(F.filter("order", lambda w: w.bitwiseAND(F.lit(64)) == 64 * k), F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
+    half = lambda k: F.aggregate("order", F.lit(0).cast("long"), lambda acc, w: F.when(w.bitwiseAND(F.lit(64)) == 64 * k, acc.bitwiseXOR(bit(w))).otherwise(acc))
     n = F.size("order").cast("long")
     prefix = F.transform(F.slice("order", 1, (n - F.expr(f"(CAST(size(`order`) AS BIGINT) * {num} + {den - 1}) div {den}") + 1).cast("int")), lambda w: F.shiftrightunsigned(w, 24))
     keyed = words.select("d", "h", "ln", n.alias("n"), F.xxhash64("order").alias("k1"), F.xxhash64("order", F.lit(1)).alias("k2"), half(0).alias("w"), half(1).alias("v"), prefix.alias("prefix"))
@@ -108,10 +110,10 @@ def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataF
 
     # first every class meets only the earliest class at its rarest words (the shorter of its two prefixes)
     short = (F.col("n") - _needed("n", "n", num, den) + 1).cast("int")
-    rarest = classes.select(F.col("cid").alias("ca"), "d", F.col("n").alias("na"), F.col("w").alias("wa"), F.col("v").alias("va"), F.posexplode(F.slice("prefix", 1, short)).alias("pa", "word"))
-    earliest = F.first(F.struct("ca", "na", "pa", "wa", "va")).over(Window.partitionBy("word").orderBy("d", "ca"))
-    star = rarest.withColumn("f", earliest).filter("ca <> f.ca").select("ca", "na", "pa", "wa", "va", F.col("f.ca").alias("cb"), F.col("f.na").alias("nb"), F.col("f.pa").alias("pb"), F.col("f.wa").alias("wb"), F.col("f.va").alias("vb"))
-    met = scratch.save(pairs_of(star.filter(_bounds(num, den))), "first")
+    rarest = classes.select(F.col("cid").alias("ca"), "d", F.col("n").alias("na"), F.col("w").alias("wa"), F.posexplode(F.slice("prefix", 1, short)).alias("pa", "word"))
+    earliest = F.first(F.struct("ca", "na", "pa", "wa")).over(Window.partitionBy("word").orderBy("d", "ca"))
+    star = rarest.withColumn("f", earliest).filter("ca <> f.ca").select("ca", "na", "pa", "wa", F.col("f.ca").alias("cb"), F.col("f.na").alias("nb"), F.col("f.pa").alias("pb"), F.col("f.wa").alias("wb"))
+    met = scratch.save(pairs_of(star.filter(_bounds(num, den, "w"))), "first")
     gone = verified(met, "first")
 
     # then all pairs whose later class is still open; the smaller class of a pair needs the shorter prefix only
@@ -132,22 +134,22 @@ def redundant_lines(docs: DataFrame, *, num: int = NUM, den: int = DEN) -> DataF
 
 def dedup_lines(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", num: int = NUM, den: int = DEN, drop_emptied: bool = False, counts: bool = False) -> DataFrame:
     """All rows and columns of ``docs`` with redundant lines taken out of ``text`` (and their number, with ``counts``)."""
-    key = {"__d": F.coalesce(F.col(doc_id).cast("long"), F.lit(_LAST)), "__h": F.xxhash64(F.col(text))}
-    slim = docs.select(key["__d"].alias("d"), key["__h"].alias("h"), F.col(text).alias("t"))
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "lines_kept")
-    kept = scratch.save(redundant_lines(slim, num=num, den=den).groupBy("d", "h").agg(F.array_sort(F.collect_list("ln")).alias("__kept")).withColumnsRenamed({"d": "__d", "h": "__h"}), "kept")
+    d, h, k, left = (free_name(docs, x) for x in ("__d", "__h", "__kept", "__stays"))
+    key = {d: F.coalesce(F.col(doc_id).cast("long"), F.lit(_LAST)), h: F.xxhash64(F.col(text))}
+    slim = docs.select(key[d].alias("d"), key[h].alias("h"), F.col(text).alias("t"))
+    scratch = Scratch(docs.sparkSession, "lines_kept")
+    kept = scratch.save(redundant_lines(slim, num=num, den=den).groupBy("d", "h").agg(F.array_sort(F.collect_list("ln")).alias(k)).withColumnsRenamed({"d": d, "h": h}), "kept")
     keyed = docs.withColumns(key)
     few = kept.count() <= BROADCAST_ROWS
-    joined = keyed.join(F.broadcast(kept) if few else kept, ["__d", "__h"], "left")
+    joined = keyed.join(F.broadcast(kept) if few else kept, [d, h], "left")
     lines = F.split(F.col(text), "\n")
-    stays = F.filter(F.transform(lines, lambda x, i: F.when(F.array_contains(F.coalesce("__kept", F.array().cast("array<int>")), i) | ~has_words(x), x)), lambda x: x.isNotNull())
-    joined = joined.withColumn("__stays", stays)
-    columns = [F.col(f"`{c}`") if c != text else F.when(F.col(text).isNotNull(), F.array_join("__stays", "\n")).alias(text) for c in docs.columns]
+    stays = F.filter(F.transform(lines, lambda x, i: F.when(F.array_contains(F.coalesce(F.col(k), F.array().cast("array<int>")), i) | ~has_words(x), x)), lambda x: x.isNotNull())
+    joined = joined.withColumn(left, stays)
+    columns = [F.col(f"`{c}`") if c != text else F.when(F.col(text).isNotNull(), F.array_join(left, "\n")).alias(text) for c in docs.columns]
     if drop_emptied:
-        joined = joined.filter(F.col(text).isNull() | (F.size("__stays") > 0) | (F.size(lines) == 0))
+        joined = joined.filter(F.col(text).isNull() | (F.size(left) > 0) | (F.size(lines) == 0))
     if counts:
-        columns += [F.coalesce(F.size(lines), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(lines) - F.size("__stays"), F.lit(0)).cast("long").alias("n_removed")]
+        columns += [F.coalesce(F.size(lines), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(lines) - F.size(left), F.lit(0)).cast("long").alias("n_removed")]
     return joined.select(columns)
 
 
