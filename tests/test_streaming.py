@@ -1,5 +1,7 @@
 """Streams drained to the end equal their batch forms."""
 
+import time
+
 from pyspark.sql import functions as F
 
 from setsim.functions.spec import SimSpec
@@ -58,8 +60,11 @@ def test_online_index(spark, tmp_path):
     conf = "spark.sql.streaming.stateStore.providerClass"
     spark.conf.set(conf, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        q = online_index(stream).writeStream.format("memory").queryName("met").option("checkpointLocation", str(tmp_path / "ck")).trigger(availableNow=True).start()
-        q.awaitTermination()
+        q = online_index(stream).writeStream.format("memory").queryName("met").option("checkpointLocation", str(tmp_path / "ck")).start()
+        deadline = time.time() + 60
+        while time.time() < deadline and not spark.table("met").count():
+            time.sleep(1)
+        q.stop()
     finally:
         spark.conf.unset(conf)
     got = {frozenset((r.sid_r, r.sid_s)) for r in spark.table("met").collect()}
