@@ -15,17 +15,24 @@ def words(text: str | Column, pattern: str = r"[^ \t\n\r\f\x0B]+") -> Column:
     return F.regexp_extract_all(F.lower(_col(text)), F.lit(f"({pattern})"), 1)
 
 
+def _runs(items: Column, k: int, sep: str) -> Column:
+    """Joined runs of ``k`` neighbours: shifted copies zipped, so that no lambda evaluates the array again."""
+    n = F.greatest(F.size(items) - (k - 1), F.lit(0))
+    out = F.slice(items, F.lit(1), n)
+    for j in range(1, k):
+        out = F.zip_with(out, F.slice(items, F.lit(j + 1), n), lambda a, b: F.concat(a, F.lit(sep), b))
+    return out
+
+
 def qgrams(text: str | Column, q: int = 2, lower: bool = True) -> Column:
     """All substrings of ``q`` characters, blanks included; a shorter text has none."""
     t = F.lower(_col(text)) if lower else _col(text)
-    starts = F.when(F.length(t) >= q, F.sequence(F.lit(1), F.length(t) - (q - 1))).otherwise(F.array().cast("array<int>"))
-    return F.transform(starts, lambda i: F.substring(t, i, F.lit(q)))
+    return _runs(F.regexp_extract_all(t, F.lit("(?s)."), F.lit(0)), q, "")
 
 
 def shingles(tokens: Column, k: int = 3) -> Column:
     """Joined runs of ``k`` consecutive tokens."""
-    starts = F.when(F.size(tokens) >= k, F.sequence(F.lit(1), F.size(tokens) - (k - 1))).otherwise(F.array().cast("array<int>"))
-    return F.transform(starts, lambda i: F.array_join(F.slice(tokens, i, F.lit(k)), " "))
+    return _runs(tokens, k, " ")
 
 
 def json_entries(props: str | Column) -> Column:
