@@ -67,7 +67,7 @@ def shingle_sets(texts: list[bytes | None], words: int = WORDS) -> list[np.ndarr
     sizes = [len(w) for w in split]
     h = np.fromiter(map(xxhash.xxh3_64_intdigest, chain.from_iterable(split)), np.uint64, sum(sizes))
     rolled = np.zeros(len(h), np.uint64)
-    for k in range(words):
+    for k in range(min(words, len(h))):
         rolled[: len(h) - k] += h[k:] * _ODD[k]
     rolled = _mix(rolled)
     out, at = [], 0

@@ -138,6 +138,13 @@ def test_near_duplicates(spark, docs, empty, tmp_path):
     assert near_duplicates.near_duplicates(empty).count() == 0
 
 
+@pytest.mark.parametrize("n", range(7))
+def test_shingles_of_a_lone_short_text(n):
+    text = " ".join(VOCAB[:n]).encode()
+    alone, beside = near_duplicates.shingle_sets([text])[0], near_duplicates.shingle_sets([prose(50).encode(), text, None])[1]
+    assert len(alone) == min(n, max(1, n - 4)) and alone.tolist() == beside.tolist()
+
+
 def test_signatures_meet():
     rng = np.random.default_rng(2)
     for _ in range(400):
