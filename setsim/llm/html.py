@@ -7,6 +7,12 @@ their fused value reaches the page's threshold (a share of the mean). What the p
 text of menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles and comments never counts, and
 where a page has ``article`` or ``main`` elements with text, their text is content and the rest is not.
 
+*Region.* Content nodes show where the main text lies; short nodes in it (titles, lists) have low ratios of their own.
+The region
+is the smallest container of all content nodes, with the last ``h1`` before it or, without one, the headings beside it,
+and what lies between. All of it is kept but nodes before the first and after the last content node that are links
+only and no headings, on paths without content (menus without a telling name).
+
 Defined results: null and empty pages give an empty text; unclosed and stray tags are tolerated; an unterminated
 comment or script runs to the end of the page; repeated rows give equal texts.
 """
@@ -15,6 +21,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from typing import NamedTuple
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -33,9 +40,13 @@ _BOILER = re.compile(r"(?:^|[\s_-])(?:ad|ads|adv|advert|adverts|advertisement|ad
 _ROLES = {"navigation", "banner", "contentinfo", "complementary", "search", "form", "dialog", "alertdialog", "alert", "menu", "menubar", "toolbar"}
 _MARKS = re.compile(r"[.,;:!?…。，、！？]")
 _BLANK = re.compile(r"\s+")
+_WORD = re.compile(r"\w")
+_HREF = re.compile(r"(?:^|\s)href\s*=", re.I)
 _CAMEL = re.compile(r"(?<=[a-z0-9])(?=[A-Z])")
 _CLOSES_P = {"p", "div", "ul", "ol", "dl", "table", "h1", "h2", "h3", "h4", "h5", "h6", "section", "article", "main", "aside", "footer", "header", "nav", "form", "blockquote", "pre", "hr", "address", "figure", "fieldset", "details"}
 _SIBLINGS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
+_HEADINGS = {"h1", "h2", "h3", "h4", "h5", "h6"}
+_PARTS = _HEADINGS | {"p", "ul", "ol", "li", "dl", "dt", "dd", "table", "thead", "tbody", "tfoot", "tr", "caption", "blockquote", "pre", "address", "figure", "figcaption", "header", "hgroup"}
 _SCOPES = {"ul", "ol", "dl", "table", "select", "article", "section", "main", "div", "body"}
 
 
@@ -56,41 +67,58 @@ def _declared(name: str, attrs: str, inside_content: bool) -> bool:
     return False
 
 
-def blocks_of(page: str) -> list[tuple[str, str, bool, bool]]:
-    """Blocks in page order: (text, tag path, declared as not main text, inside article or main)."""
-    out: list[tuple[str, str, bool, bool]] = []
-    stack: list[tuple[str, bool, bool]] = []  # name, declared boilerplate here or above, inside content
+class Block(NamedTuple):
+    text: str
+    path: str
+    skip: bool  # declared as not main text
+    inside: int  # the outermost article or main around it, 0: none
+    chain: tuple[tuple[str, int], ...]  # names and numbers of the elements around it, without inline ones
+    linked: bool  # all words are link text
+
+
+def blocks_of(page: str) -> list[Block]:
+    """Blocks in page order."""
+    out: list[Block] = []
+    stack: list[tuple[str, bool, int, int, bool]] = []  # name, declared boilerplate here or above, Block.inside, number, in a link
     piece: list[str] = []
-    state = {"path": "", "skip": False, "inside": False}
+    state = {"path": "", "skip": False, "inside": 0, "chain": (), "link": False, "linked": True}
+    made = 0
+
+    def add(text: str) -> None:
+        piece.append(text)
+        if state["linked"] and not state["link"] and _WORD.search(text):
+            state["linked"] = False
 
     def flush() -> None:
         text = _BLANK.sub(" ", entities.unescape("".join(piece))).strip()
         piece.clear()
         if text:
-            out.append((text, state["path"], state["skip"], state["inside"]))
+            out.append(Block(text, state["path"], state["skip"], state["inside"], state["chain"], state["linked"]))
+        state["linked"] = True
 
     def moved() -> None:
-        state["path"] = "/".join(n for n, _, _ in stack if n not in _INLINE)
-        state["skip"], state["inside"] = (stack[-1][1], stack[-1][2]) if stack else (False, False)
+        state["chain"] = tuple((e[0], e[3]) for e in stack if e[0] not in _INLINE)
+        state["path"] = "/".join(n for n, _ in state["chain"])
+        state["skip"], state["inside"], state["link"] = (stack[-1][1], stack[-1][2], stack[-1][4]) if stack else (False, 0, False)
 
     at, size = 0, len(page)
     while at < size:
         m = _TOKEN.search(page, at)
         if not m:
-            piece.append(page[at:])
+            add(page[at:])
             break
-        piece.append(page[at : m.start()])
+        add(page[at : m.start()])
         at = m.end()
         if m[2] is None:  # comment, doctype or processing instruction
             continue
         name, attrs = m[2].lower(), m[3] or ""
         if m[1]:
-            if any(n == name for n, _, _ in stack):
-                if name not in _INLINE or stack[-1][1] or any(n == name and s != (stack[-1][1]) for n, s, _ in stack):
+            if any(e[0] == name for e in stack):
+                if name not in _INLINE or stack[-1][1] or any(e[0] == name and e[1] != stack[-1][1] for e in stack):
                     flush()
                 if name in _INLINE:  # a stray inline end closes only within its block
                     k = next(i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name)
-                    if all(n in _INLINE for n, _, _ in stack[k:]):
+                    if all(e[0] in _INLINE for e in stack[k:]):
                         del stack[k:]
                 else:
                     while stack.pop()[0] != name:
@@ -125,11 +153,12 @@ def blocks_of(page: str) -> list[tuple[str, str, bool, bool]]:
             continue
         if name in _VOID or attrs.rstrip().endswith("/") and name not in _INLINE and name not in _CLOSES_P:
             continue
-        above = stack[-1] if stack else ("", False, False)
-        boiler = above[1] or _declared(name, attrs, above[2])
+        above = stack[-1] if stack else ("", False, 0, 0, False)
+        boiler = above[1] or _declared(name, attrs, above[2] > 0)
         if boiler != above[1]:
             flush()
-        stack.append((name, boiler, above[2] or name in ("article", "main")))
+        made += 1
+        stack.append((name, boiler, above[2] or (made if name in ("article", "main") else 0), made, above[4] or name == "a" and bool(_HREF.search(attrs))))
         moved()
     flush()
     return out
@@ -140,26 +169,60 @@ def _smooth(x: np.ndarray) -> np.ndarray:
     return np.convolve(np.pad(x, 2, mode="edge"), kernel, "valid")
 
 
-def extract(page: str, share: float = 0.5) -> str:
-    """Main text of one page: content blocks joined by newlines."""
-    blocks = [b for b in blocks_of(page) if not b[2]]
-    inside = [b[0] for b in blocks if b[3]]
-    if inside or not blocks:
-        return "\n".join(inside)
+def _content(blocks: list[Block], share: float) -> list[bool]:
+    """Whether the tag-path ratios call a block's path content."""
     sums: dict[str, list[float]] = {}
-    for text, path, _, _ in blocks:
-        s = sums.setdefault(path, [0, 0, 0])
-        s[0] += len(text)
-        s[1] += len(_MARKS.findall(text))
+    for b in blocks:
+        s = sums.setdefault(b.path, [0, 0, 0])
+        s[0] += len(b.text)
+        s[1] += len(_MARKS.findall(b.text))
         s[2] += 1
-    length = _smooth(np.array([sums[p][0] / sums[p][2] for _, p, _, _ in blocks]))
-    marks = _smooth(np.array([sums[p][1] / sums[p][2] for _, p, _, _ in blocks]))
+    length = _smooth(np.array([sums[b.path][0] / sums[b.path][2] for b in blocks]))
+    marks = _smooth(np.array([sums[b.path][1] / sums[b.path][2] for b in blocks]))
     fused = length * (marks + 0.1)
     score: dict[str, float] = {}
-    for (_, path, _, _), v in zip(blocks, fused, strict=True):
-        score[path] = max(score.get(path, 0.0), float(v))
+    for b, v in zip(blocks, fused, strict=True):
+        score[b.path] = max(score.get(b.path, 0.0), float(v))
     limit = share * float(np.mean(fused))
-    return "\n".join(t for t, p, _, _ in blocks if score[p] >= limit)
+    return [score[b.path] >= limit for b in blocks]
+
+
+def _region(blocks: list[Block], content: list[bool]) -> list[bool]:
+    """Whether a block lies in the region that the content blocks show."""
+    chains = [b.chain for b, c in zip(blocks, content, strict=True) if c]
+    depth = 0
+    while all(len(x) > depth and x[depth] == chains[0][depth] for x in chains):
+        depth += 1
+    root = chains[0][:depth]
+    while root and root[-1][0] in _PARTS:
+        root = root[:-1]
+    within = [b.chain[: len(root)] == root for b in blocks]
+    first = within.index(True)
+    titles = [k for k in range(first) if blocks[k].chain and blocks[k].chain[-1][0] in _HEADINGS]
+    tops = [k for k in titles if blocks[k].chain[-1][0] == "h1"]
+    if tops:
+        first = tops[-1]
+    else:
+        first = min((k for k in titles if root[: len(blocks[k].chain) - 1] == blocks[k].chain[:-1]), default=first)
+    stop = within.index(True)
+    return [w or first <= k < stop for k, w in enumerate(within)]
+
+
+def extract(page: str, share: float = 0.5) -> str:
+    """Main text of one page: content blocks joined by newlines."""
+    blocks = [b for b in blocks_of(page) if not b.skip]
+    inside = [b.text for b in blocks if b.inside]
+    if inside or not blocks:
+        return "\n".join(inside)
+    content = _content(blocks, share)
+    region = _region(blocks, content)
+    span = [k for k, (c, r) in enumerate(zip(content, region, strict=True)) if c and r]
+    out = []
+    for k, (b, c, r) in enumerate(zip(blocks, content, region, strict=True)):
+        menu = b.linked and not c and not span[0] < k < span[-1] and not any(n in _HEADINGS for n, _ in b.chain)
+        if r and not menu:
+            out.append(b.text)
+    return "\n".join(out)
 
 
 def main_text(pages: DataFrame, *, html: str = "html", out: str = "text") -> DataFrame:

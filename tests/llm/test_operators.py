@@ -366,6 +366,27 @@ def test_html(page, want):
     assert (html.extract(page) if page else "") == want
 
 
+_PROSE = [f"Sentence {k}, with a few more words, goes on, and on, and on; it ends here. " * 4 for k in range(8)]
+_LONG = "".join(f"<p>{t}</p>" for t in _PROSE)
+_TEXT = [t.strip() for t in _PROSE]
+_ITEMS = ["flour", "two eggs", "salt", "milk", "sugar", "oil"]
+_LIST = "<ul>" + "".join(f"<li>{t}</li>" for t in _ITEMS) + "</ul>"
+_LINKS = "<ul>" + "".join(f"<li><a href='/{k}'>Go there {k}</a></li>" for k in range(6)) + "</ul>"
+
+
+@pytest.mark.parametrize(
+    "page,want",
+    [
+        (f"<body><div><h1>A title of a page</h1>{_LONG}</div></body>", ["A title of a page", *_TEXT]),
+        (f"<body><h1>A title of a page</h1><p>By us</p><div>{_LONG}</div><div>All rights</div></body>", ["A title of a page", "By us", *_TEXT]),
+        (f"<body>{_LINKS}<div><h1>Cake, at last</h1>{_LONG}{_LIST}<h2>End</h2>{_LONG}{_LIST}</div></body>", ["Cake, at last", *_TEXT, *_ITEMS, "End", *_TEXT, *_ITEMS]),
+        (f"<body><div><h2>One</h2>{_LIST}{_LONG}</div><div>{_LINKS}</div></body>", ["One", *_ITEMS, *_TEXT]),
+    ],
+)
+def test_html_without_article_keeps_its_region(page, want):
+    assert html.extract(page).split("\n") == want
+
+
 def test_html_table(spark):
     df = spark.createDataFrame([(1, "u", None), (2, "u", "<article>x &lt; y</article>"), (2, "u", "<article>x &lt; y</article>")], "page_id long, url string, html string")
     assert sorted(r.text for r in html.main_text(df).collect()) == ["", "x < y", "x < y"]
