@@ -3,15 +3,16 @@
 A page is cut into text nodes with their root-to-leaf tag paths. Per path the text length, the punctuation marks and
 the number of nodes are summed; a path's two ratios are length per node and marks per node. Both ratio series over the
 page's nodes are smoothed with a small Gaussian window, fused as their product, and a path's nodes are content when
-their fused value reaches the page's threshold (a share of the mean). What the page itself declares is used first:
-text of menus, headers, footers, sidebars, notices, adverts, forms, scripts, styles and comments never counts, and
-where a page has ``article`` or ``main`` elements with text, their text is content and the rest is not.
+their fused value reaches the page's threshold (a share of the mean). This runs on every page, over all text that the
+page does not declare as something else: text of menus, headers, footers, sidebars, notices, adverts, forms, scripts,
+styles and comments never counts.
 
 *Region.* Content nodes show where the main text lies; short nodes in it (titles, lists) have low ratios of their own.
-The region
+Where at least half of the content text lies in ``article`` and ``main`` elements, these are the region. Elsewhere it
 is the smallest container of all content nodes, with the last ``h1`` before it or, without one, the headings beside it,
-and what lies between. All of it is kept but nodes before the first and after the last content node that are links
-only and no headings, on paths without content (menus without a telling name).
+and what lies between; a ``main``, a sole ``article`` and articles with content nodes stay as well, other articles are
+teasers. All of the region is kept but one thing: nodes before the first and after the last content node that are
+links only and no headings, on paths without content (menus without a telling name).
 
 Defined results: null and empty pages give an empty text; unclosed and stray tags are tolerated; an unterminated
 comment or script runs to the end of the page; repeated rows give equal texts.
@@ -189,6 +190,9 @@ def _content(blocks: list[Block], share: float) -> list[bool]:
 
 def _region(blocks: list[Block], content: list[bool]) -> list[bool]:
     """Whether a block lies in the region that the content blocks show."""
+    total = sum(len(b.text) for b, c in zip(blocks, content, strict=True) if c)
+    if 2 * sum(len(b.text) for b, c in zip(blocks, content, strict=True) if c and b.inside) >= total:
+        return [b.inside > 0 for b in blocks]
     chains = [b.chain for b, c in zip(blocks, content, strict=True) if c]
     depth = 0
     while all(len(x) > depth and x[depth] == chains[0][depth] for x in chains):
@@ -205,15 +209,18 @@ def _region(blocks: list[Block], content: list[bool]) -> list[bool]:
     else:
         first = min((k for k in titles if root[: len(blocks[k].chain) - 1] == blocks[k].chain[:-1]), default=first)
     stop = within.index(True)
-    return [w or first <= k < stop for k, w in enumerate(within)]
+    declared = {b.inside: False for b in blocks if b.inside}
+    for b, c in zip(blocks, content, strict=True):
+        if b.inside:
+            declared[b.inside] |= c or len(declared) == 1 or ("main", b.inside) in b.chain
+    return [w or first <= k < stop or declared.get(b.inside, False) for k, (b, w) in enumerate(zip(blocks, within, strict=True))]
 
 
 def extract(page: str, share: float = 0.5) -> str:
     """Main text of one page: content blocks joined by newlines."""
     blocks = [b for b in blocks_of(page) if not b.skip]
-    inside = [b.text for b in blocks if b.inside]
-    if inside or not blocks:
-        return "\n".join(inside)
+    if not blocks:
+        return ""
     content = _content(blocks, share)
     region = _region(blocks, content)
     span = [k for k, (c, r) in enumerate(zip(content, region, strict=True)) if c and r]

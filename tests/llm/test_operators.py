@@ -387,6 +387,19 @@ def test_html_without_article_keeps_its_region(page, want):
     assert html.extract(page).split("\n") == want
 
 
+@pytest.mark.parametrize(
+    "page,want",
+    [
+        (f"<body><article><h1>T</h1>{_LONG}{_LIST}<div>{_LINKS}</div></article></body>", ["T", *_TEXT, *_ITEMS]),
+        (f"<body><div>{_LONG}</div><article><b>Teaser one</b></article><article><b>Teaser two</b></article></body>", _TEXT),
+        (f"<body><div>{_LONG}</div><article><b>A note</b></article></body>", [*_TEXT, "A note"]),
+        (f"<body><main><h1>T</h1>{_LONG}<p>See <a href='/x'>this</a></p></main><div><p>All rights</p></div></body>", ["T", *_TEXT, "See this"]),
+    ],
+)
+def test_html_ratios_run_on_declared_pages(page, want):
+    assert html.extract(page).split("\n") == want
+
+
 def test_html_table(spark):
     df = spark.createDataFrame([(1, "u", None), (2, "u", "<article>x &lt; y</article>"), (2, "u", "<article>x &lt; y</article>")], "page_id long, url string, html string")
     assert sorted(r.text for r in html.main_text(df).collect()) == ["", "x < y", "x < y"]
