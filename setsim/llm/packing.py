@@ -1,7 +1,8 @@
 """Harmonic packing of token sequences.
 
 Class k holds pieces longer than capacity/(k+1) and not longer than capacity/k; a bin of class k takes exactly k of
-them, so every worker fills its bins without knowing any other. Documents are cut into full sequences and a rest. A
+them, so every worker fills its bins without knowing any other. The last class holds all shorter pieces; its bins are
+filled by next fit, until a piece does not fit. Documents are cut into full sequences and a rest. A
 rest that would waste more than ``waste`` of its class's slot is cut again: a piece as long as a slot of the next
 class goes there, what remains is classed anew. Bins that a worker leaves unfinished (less than one sequence per
 class) meet those of ``GROUP`` neighbouring workers, are filled by class in the same way, and the last few by first
@@ -61,7 +62,15 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", capacit
         enc, worker = encoder(path), TaskContext.get().partitionId()
         end = struct.pack("<I", end_id)
         open_bins: dict[int, list] = {}
-        made = 0
+        made = short = 0  # sequences so far; ids in the open bin of the last class
+
+        def close(k: int) -> Iterator[tuple]:
+            nonlocal made
+            offset = 0
+            for p in open_bins.pop(k):
+                yield (*p, worker << 32 | made, offset, worker)
+                offset += p[2]
+            made += 1
 
         def batch_of(pieces: list, kind: pa.DataType) -> pa.RecordBatch:
             types = [kind, pa.int64(), pa.int64(), pa.binary(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
@@ -76,15 +85,15 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", capacit
                     ids = (enc.ids(t.decode("utf-8", "replace")) if t else b"") + end
                     n = len(ids) >> 2
                     for start, length, k in cuts(n, capacity):
+                        if k == CLASSES:
+                            if short + length > capacity:
+                                done += close(k)
+                                short = 0
+                            short += length
                         bin_ = open_bins.setdefault(k, [])
                         bin_.append((key, start, length, ids[4 * start : 4 * (start + length)], n, k))
-                        if len(bin_) == k:
-                            offset = 0
-                            for p in bin_:
-                                done.append((*p, worker << 32 | made, offset, worker))
-                                offset += p[2]
-                            made += 1
-                            del open_bins[k]
+                        if len(bin_) == k < CLASSES:
+                            done += close(k)
                 if done:
                     yield batch_of(done, kind)
         if left := [(*p, None, None, worker) for bin_ in open_bins.values() for p in bin_]:
@@ -97,10 +106,16 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", capacit
         got.sort(key=lambda r: (r["class"], -r["length"], r["worker"], r["start"]))
         by_class: dict[int, list] = {}
         sequences: list[list] = []
+        short = 0
         for r in got:
+            if r["class"] == CLASSES:
+                if short + r["length"] > capacity:
+                    sequences.append(by_class.pop(CLASSES))
+                    short = 0
+                short += r["length"]
             bin_ = by_class.setdefault(r["class"], [])
             bin_.append(r)
-            if len(bin_) == r["class"]:
+            if len(bin_) == r["class"] < CLASSES:
                 sequences.append(by_class.pop(r["class"]))
         room: list[list] = []  # first fit for less than one bin of each class
         for r in sorted((r for bin_ in by_class.values() for r in bin_), key=lambda r: -r["length"]):

@@ -298,6 +298,19 @@ def test_packing(spark, docs, empty):
     assert len(by_seq) <= total / 1024 * 1.1 + 2
 
 
+def test_packing_of_short_texts(spark):
+    rows = [(i, None if i % 5 == 0 else " ".join(VOCAB[i % 400 : i % 400 + i % 3])) for i in range(6000)]
+    got = packing.pack(spark.createDataFrame(rows, SCHEMA).repartition(3)).collect()
+    by_seq = defaultdict(list)
+    for r in got:
+        by_seq[r.sequence_id].append((r.offset, r.length))
+    for v in by_seq.values():
+        v.sort()
+        assert [a for a, _ in v] == [sum(n for _, n in v[:k]) for k in range(len(v))] and sum(n for _, n in v) <= 1024
+    assert {r.doc_id for r in got} == set(range(6000)) and sum(r.length for r in got) == sum({r.doc_id: r.doc_tokens for r in got}.values())
+    assert len(by_seq) <= sum(r.length for r in got) / 1024 * 1.02 + 1
+
+
 def test_cuts():
     for n in range(1, 3000):
         pieces = packing.cuts(n)
