@@ -25,7 +25,7 @@ def corpus():
     rng = random.Random(5)
     texts = [prose(rng.randint(1, 120), rng) for _ in range(60)]
     texts += [texts[3], texts[3], texts[7] + " extra", texts[8].upper(), prose(9000, rng), "", None, "   \n ", "one two", "one two", "été naïve 中文 <|endoftext|> x"]
-    texts += ["\n".join([texts[1], texts[2], "", texts[1] + " z"]), "a\r\nb\tc\x0bd"]
+    texts += ["\n".join([texts[1], texts[2], "", texts[1] + " z"]), "a\r\nb\tc\x0bd", "mail x.y@z.org or 10.0.0.1, καλημέρα 1234567890123456 κόσμε"]
     rows = [(i, t) for i, t in enumerate(texts)]
     return rows + [(5, texts[5]), (None, texts[6])]
 
@@ -239,21 +239,35 @@ def test_cross_parsing_phrases():
     assert p.phrases([text])[0, 0] == count
 
 
-def test_token_counts(docs, empty):
+def test_token_counts(spark, docs, empty):
     enc = tokens.encoder(tokens.default_tokenizer())
     count = lambda t: len(enc.tokenizer.encode(t or "", add_special_tokens=False).ids)
-    for r in tokens.edited_counts(docs).select("text", "counts").collect():
-        assert r.counts.before == count(r.text)
-        assert r.counts.after == count(tokens.REDACT.sub(tokens.PLACEHOLDER, r.text or ""))
+    want = Counter()
+    for i, t in corpus():
+        n = len(tokens.REDACT.findall(t or "")) if i is not None else 0
+        want[i, count(t), n, count(tokens.REDACT.sub(tokens.PLACEHOLDER, t) if n else t)] += 1
+    got = tokens.edited_counts(docs).collect()
+    assert Counter((r.doc_id, r.n_tokens, r.n_edits, r.n_tokens_edited) for r in got) == want
+    assert sum(r.n_edits for r in got) == 3
     assert tokens.edited_counts(empty).count() == 0
+    rows = spark.createDataFrame([(1, "Γειά σου 汉字 x@y.de "), (1, "other 12 text"), (2, "abc"), (None, "abc")], SCHEMA)
+    edits = spark.createDataFrame([(1, 5, 8, "κόσμε!"), (1, 0, 2, ""), (9, 0, 1, "x")], "doc_id long, start long, end long, new string")
+    got = {(r.doc_id, r.n_edits, r.n_tokens_edited) for r in tokens.edited_counts(rows, edits).collect()}
+    cut = lambda t: t[2:5] + "κόσμε!" + t[8:]
+    assert got == {(1, 2, count(cut("Γειά σου 汉字 x@y.de "))), (1, 2, count(cut("other 12 text"))), (2, 0, count("abc")), (None, 0, count("abc"))}
+    with pytest.raises(Exception, match="overlap"):
+        tokens.edited_counts(rows, edits.union(edits)).collect()
 
 
 def test_edits_equal_a_fresh_count():
     enc = tokens.encoder(tokens.default_tokenizer())
     rng = random.Random(6)
-    parts = ["", "x", " ", "'l", "l", "e'", "\n\n", "  ", "foo bar 12", "é$", "<|endof", "text|>", "汉字"]
-    for _ in range(40):
-        doc = tokens.EditedCount(text := prose(rng.randint(0, 300), rng), enc)
+    parts = ["", "x", " ", "'l", "l", "e'", "\n\n", "  ", "foo bar 12", "é$", "<|endof", "text|>", "汉字", " שלום", "\u0558", "<|endoftext|>", "w " * 300]
+    for k in range(80):
+        text = prose(rng.randint(0, 300), rng)
+        if k % 2:
+            text = text.translate(str.maketrans("abcdef ", "αβ汉д3ж\u3000"))
+        doc = tokens.TokenTree(enc, text)
         for _ in range(8):
             a = rng.randrange(len(text) + 1)
             b = min(len(text), a + rng.choice([0, 0, 1, 3, 200]))
@@ -261,14 +275,28 @@ def test_edits_equal_a_fresh_count():
             doc.edit(a, b, new)
             text = text[:a] + new + text[b:]
             assert doc.text == text and doc.tokens() == len(enc.tokenizer.encode(text, add_special_tokens=False).ids)
+            assert doc.sums[1][0] == len(text)
+            doc = tokens.TokenTree(enc, text, list(doc.sums))  # as stored and read again
 
 
 def test_edits_are_local():
     enc = tokens.encoder(tokens.default_tokenizer())
-    doc = tokens.EditedCount(prose(20_000), enc)
-    doc.encoded = 0
-    doc.edit(60_000, 60_004, "new")
-    assert doc.encoded < 40
+    for table in ({}, str.maketrans("abcdef", "αβγдεж")):
+        text = prose(20_000).translate(table)
+        doc = tokens.TokenTree(enc, text)
+        doc.encoded, before = 0, list(doc.sums)
+        doc.edit(60_000, 60_004, "new")
+        assert 0 < doc.encoded < 40
+        assert sum(x != y for x, y in zip(before, doc.sums, strict=True)) <= 2 * len(doc.sums).bit_length()
+
+
+def test_pieces_are_the_tokenizers():
+    enc = tokens.encoder(tokens.default_tokenizer())
+    for low in (*range(0, 0x20000, 0x1000), 0x2B000, 0x2C000, 0x32000, 0x3D000, 0xE0000, 0x10F000):
+        text = "".join(f"a{chr(c)}1{chr(c)} {chr(c)}{chr(c)}. " for c in range(low, low + 0x1000) if not 0xD800 <= c < 0xE000)
+        want = enc.tokenizer.pre_tokenizer.pre_tokenize_str(text)
+        assert list(enc.pieces(text)) == [text[a:b] for _, (a, b) in want]
+        assert enc.ids(text) == np.array(enc.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
 
 def test_packing(spark, docs, empty):
