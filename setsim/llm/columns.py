@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -46,6 +49,18 @@ def text_slices(batch: pa.RecordBatch, column: int, rows: int = BATCH_ROWS, limi
         yield part, part.column(column).to_pylist()
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system at the end of a task.
+
+    Spark keeps idle Python workers for a while; without this they would hold the buffers of their last task beside
+    those of the workers of the next stage.
+    """
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # other systems' C libraries have no such call
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def text_column(setup: Callable[[], Callable[[list], list]], ddl: str, text: str | Column) -> Column:
     """Column of ``setup()(list of UTF-8 bytes or None)``; not re-evaluated by filters on it."""
     kind = arrow_kind(ddl)
@@ -54,9 +69,11 @@ def text_column(setup: Callable[[], Callable[[list], list]], ddl: str, text: str
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         work = setup()
         for batch in batches:
-            done: list = []
+            if not len(batch):
+                yield pa.array([], kind)
             for _, texts in text_slices(pa.RecordBatch.from_arrays([batch], names=["t"]), 0):
-                done += work(texts)
-            yield pa.array(done, kind)
+                yield pa.array(work(texts), kind)  # Spark counts rows, not batches: a slice's results leave at once
+        del work
+        release_memory()
 
     return F.arrow_udf(run, _parse_datatype_string(ddl)).asNondeterministic()(col.cast("binary"))

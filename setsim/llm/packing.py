@@ -6,7 +6,8 @@ filled by next fit, until a piece does not fit. Documents are cut into full sequ
 rest that would waste more than ``waste`` of its class's slot is cut again: a piece as long as a slot of the next
 class goes there, what remains is classed anew. Bins that a worker leaves unfinished (less than one sequence per
 class) meet those of ``GROUP`` neighbouring workers, are filled by class in the same way, and the last few by first
-fit in order of decreasing length. Two passes, no sorting, one shuffle of the unfinished bins only.
+fit in order of decreasing length. Two passes, no sorting, one shuffle of the unfinished bins only: less than
+``CLASSES`` sequences a worker, so a group holds at most ``GROUP * CLASSES * capacity`` ids whatever the input.
 
 Defined results: null and empty texts are the end id alone; every id lies in exactly one piece; repeated rows and
 null ids are packed like any other row; an empty table gives no sequences. Sequence ids are unique, not gapless.
@@ -17,12 +18,13 @@ from __future__ import annotations
 import struct
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setsim.llm.columns import text_slices
+from setsim.llm.columns import release_memory, text_slices
 from setsim.llm.tokens import default_tokenizer, encoder
 from setsim.scratch import Scratch
 
@@ -98,43 +100,47 @@ def pack(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", capacit
                     yield batch_of(done, kind)
         if left := [(*p, None, None, worker) for bin_ in open_bins.values() for p in bin_]:
             yield batch_of(left, kind)
+        open_bins.clear()
+        release_memory()
 
     pieces = Scratch(spark, "packing").save(rows.mapInArrow(work, schema), "pieces")
 
     def finish(table: pa.Table) -> pa.Table:
-        got = table.to_pylist()
-        got.sort(key=lambda r: (r["class"], -r["length"], r["worker"], r["start"]))
-        by_class: dict[int, list] = {}
-        sequences: list[list] = []
+        # sequences and offsets are worked out on three numbers a piece; the ids stay where they are
+        klass, lengths, workers, starts = (table.column(c).to_numpy() for c in ("class", "length", "worker", "start"))
+        sequences: list[list[int]] = []
+        open_: dict[int, list[int]] = {}
         short = 0
-        for r in got:
-            if r["class"] == CLASSES:
-                if short + r["length"] > capacity:
-                    sequences.append(by_class.pop(CLASSES))
+        for r in np.lexsort((starts, workers, -lengths, klass)).tolist():
+            k, n = int(klass[r]), int(lengths[r])
+            if k == CLASSES:
+                if short + n > capacity:
+                    sequences.append(open_.pop(k))
                     short = 0
-                short += r["length"]
-            bin_ = by_class.setdefault(r["class"], [])
+                short += n
+            bin_ = open_.setdefault(k, [])
             bin_.append(r)
-            if len(bin_) == r["class"] < CLASSES:
-                sequences.append(by_class.pop(r["class"]))
+            if len(bin_) == k < CLASSES:
+                sequences.append(open_.pop(k))
         room: list[list] = []  # first fit for less than one bin of each class
-        for r in sorted((r for bin_ in by_class.values() for r in bin_), key=lambda r: -r["length"]):
-            for slot in room:
-                if slot[0] >= r["length"]:
-                    break
-            else:
+        for r in sorted((r for bin_ in open_.values() for r in bin_), key=lambda r: -lengths[r]):
+            n = int(lengths[r])
+            slot = next((x for x in room if x[0] >= n), None)
+            if slot is None:
                 slot = [capacity, []]
                 room.append(slot)
-            slot[0] -= r["length"]
+            slot[0] -= n
             slot[1].append(r)
         sequences += [members for _, members in room]
-        base = 1 << 62 | (got[0]["worker"] // GROUP) << 32
+        base = 1 << 62 | int(workers[0]) // GROUP << 32
+        sequence, offset = np.zeros(len(klass), np.int64), np.zeros(len(klass), np.int64)
         for i, members in enumerate(sequences):
-            offset = 0
-            for r in members:
-                r["sequence_id"], r["offset"] = base | i, offset
-                offset += r["length"]
-        return pa.Table.from_pylist([r for m in sequences for r in m], table.schema)
+            sequence[members] = base | i
+            offset[members] = np.concatenate([[0], lengths[members[:-1]].cumsum()])
+        for name, values in (("sequence_id", sequence), ("offset", offset)):
+            table = table.set_column(table.schema.get_field_index(name), name, pa.array(values))
+        release_memory()
+        return table
 
     filled = pieces.filter("sequence_id IS NOT NULL")
     rest = pieces.filter("sequence_id IS NULL").groupBy((F.col("worker") / GROUP).cast("long").alias("g")).applyInArrow(finish, pieces.schema)
