@@ -8,11 +8,14 @@ from setsim.llm.html import op10_html
 from setsim.llm.language import op6_language
 from setsim.llm.lines import op9_line_dedup
 from setsim.llm.near_duplicates import op3_near_duplicates
+from setsim.llm.oracles import ORACLES
 from setsim.llm.packing import op8_packing
 from setsim.llm.quality import op5_quality
 from setsim.llm.sharding import op1_sharding
 from setsim.llm.tokens import op7_token_counts
 
+__all__ = ["ORACLES", "QUERIES"]
+
 QUERIES = {
     "op1_sharding": op1_sharding,
     "op2_decontaminate": op2_decontaminate,
@@ -25,6 +28,3 @@ QUERIES = {
     "op9_line_dedup": op9_line_dedup,
     "op10_html": op10_html,
 }
-
-#: DuckDB SQL over the whole tables, where SQL expresses the result and is fast enough.
-ORACLES: dict[str, str] = {}
