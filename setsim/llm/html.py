@@ -233,7 +233,7 @@ def extract(page: str, share: float = 0.5) -> str:
 
 
 def main_text(pages: DataFrame, *, html: str = "html", out: str = "text") -> DataFrame:
-    """All rows and columns of ``pages`` plus ``out``, the extracted text."""
+    """All rows and columns of ``pages`` plus ``out``, the extracted text (in place of a column of that name)."""
 
     def setup():
         return lambda rows: [extract(r.decode("utf-8", "replace")) if r else "" for r in rows]

@@ -6,8 +6,10 @@ transitions are stored as one dense table in which a missing transition already
 at the root and carries a flag, so parsing is one table lookup per byte; many segments of many texts advance together.
 Whole texts are parsed, in segments of ``SEGMENT`` bytes (a cut adds at most one phrase per segment and language).
 
-Training text is a bounded sample: about ``train_bytes`` bytes per learned language, drawn by id hash from all allowed
-rows. Defined results: null texts and texts without any letter give ``und`` with score 0; ties go to the language
+Training text is a bounded sample: about ``train_bytes`` bytes per learned language, from all allowed rows drawn by id
+hash, of each a span of at most ``span_bytes`` bytes that begins anywhere in the text (by hash). Every byte value that
+occurs in it has a symbol of its own; a language with less training text than others is learnt from what it has. A
+score is the best language's share of the odds, e to the phrases saved over at most ``ODDS_BYTES`` bytes. Defined results: null texts and texts without any letter give ``und`` with score 0; ties go to the language
 first in byte order; without any training text every prediction is ``und``.
 """
 
@@ -21,7 +23,7 @@ from pyspark.sql import functions as F
 
 from setsim.llm.columns import text_column
 
-TRAIN_BYTES, ROW_BYTES, ALPHABET, SEGMENT = 48_000, 8_000, 64, 512
+TRAIN_BYTES, SPAN_BYTES, SEGMENT, ODDS_BYTES = 48_000, 8_000, 512, 400
 _UNKNOWN, _PAD, _SPACE = 0, 1, 2
 _RESTART = np.int32(-(2**31))
 
@@ -88,12 +90,13 @@ class CrossParser:
         folded = {k: fold[np.frombuffer(v, np.uint8)] for k, v in texts.items()}
         counts = sum((np.bincount(v, minlength=256) for v in folded.values()), np.zeros(256, np.int64))
         counts[32] = 0
-        used = [int(c) for c in np.argsort(-counts, kind="stable")[: ALPHABET - 3] if counts[c] > 0]
+        used = [int(c) for c in np.flatnonzero(counts)]
+        self.width = 3 + len(used)
         code = np.full(256, _UNKNOWN, np.uint8)
         code[32] = _SPACE
         code[used] = np.arange(3, 3 + len(used))
         self.code = code[fold]
-        self.tables = [SuffixAutomaton(code[folded[k]].tolist()).table(ALPHABET).ravel() for k in self.langs]
+        self.tables = [SuffixAutomaton(code[folded[k]].tolist()).table(self.width).ravel() for k in self.langs]
 
     def phrases(self, texts: list[bytes]) -> np.ndarray:
         """Phrases per text and language."""
@@ -114,7 +117,7 @@ class CrossParser:
         lanes = symbols[steps]
         lanes[np.arange(len(lanes))[:, None] >= sizes[None, :]] = _PAD
         for k, table in enumerate(self.tables):
-            state = np.full(len(who), len(table) - ALPHABET, np.int32)
+            state = np.full(len(who), len(table) - self.width, np.int32)
             begun = np.zeros(len(who), np.int32)
             for row in lanes:
                 np.take(table, state + row, out=state)
@@ -132,7 +135,7 @@ class CrossParser:
                 result.append({"lang": "und", "score": 0.0})
                 continue
             k = int(r.argmin())
-            odds = np.exp((r[k] - r) * min(len(t), 400))  # e to the phrases saved, over at most 400 bytes
+            odds = np.exp((r[k] - r) * min(len(t), ODDS_BYTES))
             result.append({"lang": self.langs[k], "score": float(1 / odds.sum())})
         return result
 
@@ -150,17 +153,18 @@ def held_out(doc_id: str = "doc_id", folds: int = 4, fold: int = 2):
     return F.coalesce(F.crc32(F.col(doc_id).cast("string").cast("binary")) % folds == fold, F.lit(False))
 
 
-def training_texts(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", train_bytes: int = TRAIN_BYTES) -> dict[str, bytes]:
+def training_texts(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", lang: str = "lang", train_bytes: int = TRAIN_BYTES, span_bytes: int = SPAN_BYTES) -> dict[str, bytes]:
     """A bounded sample of labelled text per language, from rows outside the held-out fold."""
     rows = docs.select(F.col(doc_id).alias("k"), F.col(text).cast("binary").alias("t"), F.col(lang).alias("lang")).filter(F.col("lang").isNotNull() & F.col("t").isNotNull() & ~held_out("k"))
-    used = F.least(F.length("t"), F.lit(ROW_BYTES))
+    used = F.least(F.length("t"), F.lit(span_bytes))
     totals = {r.lang: r.n for r in rows.groupBy("lang").agg(F.sum(used).alias("n")).collect() if r.n}
     if not totals:
         return {}
     # at most `share` of each language is read on the driver: in expectation three times what is used
     share = F.create_map(*[F.lit(x) for k, n in totals.items() for x in (k, min(1.0, 3 * train_bytes / n))])
     order = F.pmod(F.xxhash64("k", "t"), F.lit(1 << 30))
-    picked = rows.withColumn("o", order).filter(F.col("o") < share[F.col("lang")] * (1 << 30)).select("lang", "o", F.substring("t", 1, ROW_BYTES).alias("t"))
+    start = (F.pmod(F.xxhash64("t", "k"), F.greatest(F.length("t") - span_bytes + 1, F.lit(1))) + 1).cast("int")
+    picked = rows.withColumn("o", order).filter(F.col("o") < share[F.col("lang")] * (1 << 30)).select("lang", "o", F.substring("t", start, F.lit(span_bytes)).alias("t"))
     by_lang: dict[str, list] = defaultdict(list)
     for r in picked.collect():
         by_lang[r.lang].append((r.o, bytes(r.t)))

@@ -6,8 +6,8 @@ round, each a small Newton step on the logistic loss, added to that feature's lo
 residuals gain most from a four-cell cut then get tables of their own, boosted in the same cyclic way. A score is the
 logistic of the intercept plus one table entry per feature and pair: vectorised additions of bins.
 
-The model is fitted on the driver from at most ``sample_rows`` labelled rows (those of the least hash of their id);
-counts and scores cover all rows. Defined results: null and empty texts have the vector of an empty text and get a
+The model is fitted on the driver from at most ``sample_rows`` labels (those of the least hash of their id) and
+``REPEATS`` times as many documents (ids may repeat); scores cover all rows. Defined results: null and empty texts have the vector of an empty text and get a
 score; repeated rows are scored alike; rows without a label, or with a null one, are not learnt from; without any
 usable label every score is ``prior``.
 """
@@ -20,9 +20,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setsim.llm.columns import text_column
+from setsim.llm.columns import free_name, text_column
 
-SAMPLE_ROWS, BINS, LEAVES, ROUNDS, RATE, PAIRS, PAIR_ROUNDS = 20_000, 32, 4, 120, 0.15, 8, 60
+SAMPLE_ROWS, BINS, LEAVES, ROUNDS, RATE, PAIRS, PAIR_ROUNDS, REPEATS = 20_000, 32, 4, 120, 0.15, 8, 60, 2
 
 FEATURES = (
     "log_chars", "log_words", "word_length", "upper", "digits", "ascii_marks", "odd_marks", "bars", "non_ascii", "line_breaks",
@@ -172,7 +172,7 @@ def train(docs: DataFrame, labels: DataFrame, *, doc_id: str = "doc_id", text: s
     known = known.orderBy(F.xxhash64("k"), "k", "y").limit(sample_rows)
     rows = docs.select(F.col(doc_id).alias("k"), F.col(text).alias("t")).join(F.broadcast(known), "k")  # at most sample_rows small rows
     rows = rows.select("k", "y", text_column(lambda: lambda texts: [features_of(t) for t in texts], "array<double>", "t").alias("x"))
-    got = rows.orderBy(F.xxhash64("k"), "k", "y").limit(2 * sample_rows).toPandas()  # repeated ids could add rows
+    got = rows.orderBy(F.xxhash64("k"), "k", "y").limit(REPEATS * sample_rows).toPandas()
     x = np.array(got.x.tolist(), float).reshape(-1, len(FEATURES))
     return fit(x, got.y.to_numpy(float), **options)
 
@@ -189,7 +189,8 @@ def quality_scores(docs: DataFrame, model: AdditiveModel, *, text: str = "text",
 
 def keep_good(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.3, **options) -> DataFrame:
     """Rows whose score reaches the threshold; columns unchanged."""
-    return quality_scores(docs, train(docs, labels, **options), out="__quality").filter(F.col("__quality") >= threshold).drop("__quality")
+    out = free_name(docs, "__quality")
+    return quality_scores(docs, train(docs, labels, **options), out=out).filter(F.col(out) >= threshold).drop(out)
 
 
 def op5_quality(spark, sf_dir: str) -> DataFrame:

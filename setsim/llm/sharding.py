@@ -159,10 +159,12 @@ def _shard_of(borders: list[list[int]]) -> Column:
 def shard_by_bytes(docs: DataFrame, shards: int, *, text: str = "text", row_bytes: int = 8, slice_rows: int = SLICE_ROWS, **search) -> DataFrame:
     """All rows and columns of ``docs`` plus ``size``, ``shard`` and ``slot`` (these replace columns of the same name)."""
     docs = docs.drop("size", "shard", "slot")
-    size = F.coalesce(F.octet_length(F.col(text)), F.lit(0)).cast("long") + row_bytes
     positive = lambda c: F.shiftrightunsigned(c, 1)
-    keyed = docs.withColumns({"__size": size, "__h": positive(F.xxhash64(F.col(text))), "__n": F.monotonically_increasing_id()})
-    keyed = keyed.withColumn("__t", positive(F.xxhash64(*[F.col(f"`{c}`") for c, kind in docs.dtypes if not kind.startswith("map")], "__n"))).drop("__n")
+    # the caller's columns travel in one struct, so no name of theirs can clash with the working columns
+    size = F.coalesce(F.octet_length(F.col(text)), F.lit(0)).cast("long") + row_bytes
+    hashed = [F.col(f"__source.`{c}`") for c, kind in docs.dtypes if "map<" not in kind and kind != "variant"]
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__source"), size.alias("__size"), positive(F.xxhash64(F.col(text))).alias("__h"), F.monotonically_increasing_id().alias("__n"))
+    keyed = keyed.withColumn("__t", positive(F.xxhash64(*hashed, "__n"))).drop("__n")
     keyed = Scratch(docs.sparkSession, "sharding").save(keyed, "keyed")  # fixes the row numbers; all rounds read it
     keys = keyed.select("__size", "__h", "__t")
     borders = borders_by_bytes(keys, shards, **search)
@@ -177,7 +179,7 @@ def shard_by_bytes(docs: DataFrame, shards: int, *, text: str = "text", row_byte
     offsets = docs.sparkSession.createDataFrame([(s, c, n) for (s, c), n in before.items()], "__shard int, __slice int, __before long")
     run = F.row_number().over(_window())
     numbered = placed.withColumn("__row", run.cast("long") - 1).join(F.broadcast(offsets), ["__shard", "__slice"])
-    return numbered.select(*[F.col(f"`{c}`") for c in docs.columns], F.col("__size").alias("size"), F.col("__shard").alias("shard"), (F.col("__before") + F.col("__row")).alias("slot"))
+    return numbered.select("__source.*", F.col("__size").alias("size"), F.col("__shard").alias("shard"), (F.col("__before") + F.col("__row")).alias("slot"))
 
 
 def _window():

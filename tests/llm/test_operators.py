@@ -37,7 +37,7 @@ SCHEMA = "doc_id long, text string"
 def docs(spark, tmp_path_factory):
     path = str(tmp_path_factory.mktemp("docs") / "t")
     df = spark.createDataFrame(corpus(), SCHEMA)
-    clash = {c: F.lit(c) for c in ("score", "shard", "slot", "size", "n", "d", "h", "t", "hits", "__kept", "word", "cid", "sig", "n_chars")}
+    clash = {c: F.lit(c) for c in ("score", "shard", "slot", "size", "n", "d", "h", "t", "hits", "__kept", "word", "cid", "sig", "n_chars", "__h", "__t", "__size", "__class", "__shard", "__slice", "__quality", "__row")}
     df.withColumns(clash).write.parquet(path)
     return spark.read.parquet(path)
 
