@@ -89,4 +89,13 @@ def simulate_bound(spark: SparkSession, variant: str, b: int = 64, n: int = 40,
     return mean.select(F.lit(variant).alias("variant"), F.lit(b).alias("b"), F.lit(n).alias("n"), "mean", F.lit(want).alias("expected"), (F.abs(F.col("mean") - want) / want).alias("relative_error"))
 
 
-__all__ = ["bound_curve", "cutoff", "cutoff_table", "expected_bound", "expected_bound_xor_sum", "overlap_bound", "resolve_cutoff", "simulate_bound"]
+def simulation_agrees(spark: SparkSession, variant: str, b: int = 64, sizes=(4, 8, 16, 32, 64, 128), trials: int = 20_000, tolerance: float = 0.03) -> DataFrame:
+    """Per set size: the expected bound and whether the simulated mean lies within ``tolerance`` of a set's size of it."""
+    out = None
+    for n in sizes:
+        one = simulate_bound(spark, variant, b, n, trials).select("variant", "b", "n", F.round("expected", 6).alias("expected"), (F.abs(F.col("mean") - F.col("expected")) <= tolerance * n).alias("agrees"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+__all__ = ["bound_curve", "cutoff", "cutoff_table", "expected_bound", "expected_bound_xor_sum", "overlap_bound", "resolve_cutoff", "simulate_bound", "simulation_agrees"]

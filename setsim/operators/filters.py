@@ -5,6 +5,7 @@ from __future__ import annotations
 from bisect import bisect_left
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -54,22 +55,36 @@ def suffix_bound(tail_r, tail_s, depth: int) -> int:
     return suffix_bound(tail_r[:i], tail_s[:j], depth - 1) + both + suffix_bound(tail_r[i + both :], tail_s[j + 1 :], depth - 1)
 
 
-def _suffix_column(depth: int):
-    def run(batches: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
-        for left, right in batches:
-            yield pa.array([suffix_bound(a, b, depth) for a, b in zip(left.to_pylist(), right.to_pylist(), strict=True)], pa.int32())
-
-    return F.arrow_udf(run, "int")
+def _split(p: Column) -> Column:
+    """Two parts of a part ``(x, y, hit)``: below and above the middle token of ``y``; ``hit`` counts probes that both hold."""
+    mid = F.floor(F.size(p["y"]) / 2).cast("int")
+    probe = F.get(p["y"], mid)
+    below, above = F.filter(p["x"], lambda t: t < probe), F.filter(p["x"], lambda t: t > probe)
+    hit = F.when(F.size(p["y"]) > 0, F.size(p["x"]) - F.size(below) - F.size(above)).otherwise(0)
+    part = lambda x, y, h: F.struct(x.alias("x"), y.alias("y"), h.cast("int").alias("hit"))
+    return F.array(part(below, F.slice(p["y"], F.lit(1), mid), p["hit"] + hit), part(above, F.slice(p["y"], mid + 2, F.greatest(F.size(p["y"]) - mid - 1, F.lit(0))), F.lit(0)))
 
 
 def suffix_ok(spec: SimSpec, depth: int = 2) -> Column:
     """On full sets with the positions of the first common token: that token and the bound of the tails behind it."""
     tail = lambda side: F.slice(f"toks_{side}", F.col(f"pos_{side}") + 2, F.greatest(F.size(f"toks_{side}") - F.col(f"pos_{side}") - 1, F.lit(0)))
-    return _suffix_column(depth)(tail("r"), tail("s")) + 1 >= need(spec)
+    parts = F.array(F.struct(tail("r").alias("x"), tail("s").alias("y"), F.lit(0).alias("hit")))
+    for _ in range(depth):
+        parts = F.flatten(F.transform(parts, _split))
+    bound = F.aggregate(parts, F.lit(1), lambda acc, p: acc + p["hit"] + F.least(F.size(p["x"]), F.size(p["y"])))
+    return bound >= need(spec)
+
+
+def _distance(batches: Iterator[tuple[pa.Array, ...]]) -> Iterator[pa.Array]:
+    for columns in batches:
+        words = [c.to_numpy(zero_copy_only=False).view(np.uint64) for c in columns]
+        half = len(words) // 2
+        yield pa.array(sum(np.bitwise_count(a ^ b).astype(np.int32) for a, b in zip(words[:half], words[half:], strict=True)), pa.int32())
 
 
-def hbf_keep(spec: SimSpec, bitmap: BitmapSpec, limit: int | None) -> Column:
+def hbf_keep(spec: SimSpec, bitmap: BitmapSpec, limit: int | None, kernel: bool = False) -> Column:
     """The bitmap filter: keeps pairs above the cutoff size and pairs whose bound reaches the needed overlap."""
-    distance = hamming([f"{w}_r" for w in bitmap.columns], [f"{w}_s" for w in bitmap.columns])
+    left, right = [f"{w}_r" for w in bitmap.columns], [f"{w}_s" for w in bitmap.columns]
+    distance = F.arrow_udf(_distance, "int")(*left, *right) if kernel else hamming(left, right)
     keep = overlap_bound("n_r", "n_s", distance) >= need(spec)
     return keep if limit is None else (F.greatest("n_r", "n_s") > limit) | keep

@@ -19,15 +19,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from setsim.functions.bitmap import BitmapSpec, attach
+from setsim.functions.bitmap import BitmapSpec
 from setsim.functions.spec import SimSpec
 from setsim.functions.theory import resolve_cutoff
 from setsim.operators import candidates as cand
 from setsim.operators.block import block_candidates
 from setsim.operators.components import connected_components
-from setsim.operators.filters import hbf_keep, suffix_ok
-from setsim.operators.order import Collection, prepare, prepare_pair
+from setsim.operators.filters import suffix_ok
+from setsim.operators.order import HOT_DF, Collection, prepare, prepare_pair
 from setsim.operators.verify import attach_tokens, finish, overlaps
+from setsim.scratch import Scratch
 
 METHODS = ("naive", "prefix_length", "prefix_positional", "prefix_suffix", "ell_prefix", "grouped_prefix", "block")
 DEFAULT_BITMAP = BitmapSpec()
@@ -40,19 +41,23 @@ def _bitmap(spec: SimSpec, bitmap: BitmapSpec | bool | None) -> tuple[BitmapSpec
     return resolved, resolve_cutoff(resolved, spec)
 
 
-def candidates(method: str, left: Collection, right: Collection | None, spec: SimSpec, *, bitmap: BitmapSpec | bool | None = None, hbf_at: str = "auto", dedup: str = "auto", ell: int | str = 1, suffix_depth: int = 2, hbf_levels: str = "all", cap: int | None = None, kernel: str = "arrow") -> DataFrame:
-    """Unique candidate pairs of a method after its filters: ``sid_r, sid_s, n_r, n_s`` (and positions where it has them)."""
+def candidates(method: str, left: Collection, right: Collection | None, spec: SimSpec, *, bitmap: BitmapSpec | bool | None = None, hbf_at: str = "auto", dedup: str = "auto", ell: int | str = 1, suffix_depth: int = 2, hbf_levels: str = "all", cap: int | None = None, kernel: str = "arrow", size_key: bool = False, hot_df: int = HOT_DF) -> DataFrame:
+    """Unique candidate pairs of a method after its filters: ``sid_r, sid_s, n_r, n_s`` (and positions where it has them).
+
+    ``size_key`` joins postings on token and size bucket; tokens of more than ``hot_df`` sets are joined in blocks.
+    """
     own = right is None
     other = left if own else right
     spec_b, limit = _bitmap(spec, bitmap)
-    l_sets, r_sets = left.sets, other.sets
-    if spec_b and method != "grouped_prefix":
-        l_sets = attach(l_sets, spec_b)
-        r_sets = l_sets if own else attach(r_sets, spec_b)
+    sketched = lambda c, bits: c.sketch(bits) if bits else c.sets
+    l_sets = sketched(left, spec_b)
+    r_sets = l_sets if own else sketched(other, spec_b)
     common = {"self_join": own, "singles": left.singles}
+    if method in METHODS[1:6]:
+        common |= {"hot": left.hot(hot_df), "size_key": size_key}
+    if dedup == "auto" and method in METHODS[1:4] + METHODS[5:6]:
+        dedup = left.once(("dedup", spec), lambda: cand.choose_dedup(left.sets, spec))
     if method in ("prefix_length", "prefix_positional", "prefix_suffix"):
-        if dedup == "auto":
-            dedup = cand.choose_dedup(left.sets, spec)
         at = hbf_at if hbf_at != "auto" else ("post" if dedup == "array" else "pre")
         found = cand.prefix_candidates(l_sets, r_sets, spec, **common, dedup=dedup, positional=method != "prefix_length", bitmap=spec_b, limit=limit, hbf_at=at)
         if method == "prefix_suffix":
@@ -63,20 +68,15 @@ def candidates(method: str, left: Collection, right: Collection | None, spec: Si
         if ell == "adaptive":
             from setsim.plans.planner import choose_ell
 
-            ell = choose_ell(left, right, spec)
+            ell = left.once(("ell", spec), lambda: choose_ell(left, right, spec))
         return cand.ell_candidates(l_sets, r_sets, spec, int(ell), **common, bitmap=spec_b, limit=limit, hbf_levels=hbf_levels)
     if method == "grouped_prefix":
-        found = cand.group_candidates(left.sets, other.sets, spec, **common, dedup=dedup)
-        if spec_b:
-            a = attach(left.sets, spec_b)
-            b = a if own else attach(other.sets, spec_b)
-            found = attach_tokens(found, a, b, tuple(spec_b.columns)).filter(hbf_keep(spec, spec_b, limit)).select(found.columns)
-        return found
+        return cand.group_candidates(l_sets, r_sets, spec, **common, dedup=dedup, bitmap=spec_b, limit=limit)
     if method == "block":
         if spec_b is None:
             spec_b = BitmapSpec("xor", 64, cutoff=None)
-            l_sets = attach(left.sets, spec_b)
-            r_sets = l_sets if own else attach(other.sets, spec_b)
+            l_sets = left.sketch(spec_b)
+            r_sets = l_sets if own else other.sketch(spec_b)
         limit = None if spec_b.cutoff in (None, "auto") else limit  # this join tests every pair
         return block_candidates(l_sets, r_sets, spec, spec_b, self_join=own, limit=limit, cap=cap, how=kernel)
     raise ValueError(f"unknown method {method!r}: one of {METHODS}")
@@ -99,10 +99,15 @@ def naive(left: Collection, right: Collection | None, spec: SimSpec, form: str =
     return finish(counted, spec, own)
 
 
-def join_collections(left: Collection, right: Collection | None, spec: SimSpec, method: str = "prefix_length", *, verify: str = "intersect", universe: int | None = None, form: str = "relational", **options) -> DataFrame:
-    """Result pairs ``id_l, id_r, n_l, n_r, overlap, sim``."""
+def join_collections(left: Collection, right: Collection | None, spec: SimSpec, method: str = "prefix_length", *, verify: str = "intersect", universe: int | None = None, form: str = "relational", collapse: bool = False, **options) -> DataFrame:
+    """Result pairs ``id_l, id_r, n_l, n_r, overlap, sim``; ``collapse`` joins one set per class of equal sets (self-joins)."""
     if method == "naive":
         return naive(left, right, spec, form)
+    if collapse:
+        if right is not None:
+            raise ValueError("collapse works on self-joins")
+        classes, members = left.once(("classes",), lambda: collapse_equal(left))
+        return _expanded(join_collections(classes, None, spec, method, verify=verify, universe=universe, **options), classes, members, spec)
     found = candidates(method, left, right, spec, **options)
     other = left if right is None else right
     return finish(overlaps(found, left.sets, other.sets, spec, verify, universe), spec, right is None)
@@ -123,7 +128,28 @@ def collapse_equal(collection: Collection) -> tuple[Collection, DataFrame]:
     """One set per class of equal sets, and ``(sid, class_id)`` of all sets."""
     classes = collection.sets.groupBy("n", "toks").agg(F.min("sid").alias("class_id"))
     members = collection.sets.join(classes, ["n", "toks"]).select("sid", "class_id")
-    return Collection(classes.select(F.col("class_id").alias("sid"), "n", "toks"), collection.vocab, 0, collection.scratch), members
+    sets = classes.select(F.col("class_id").alias("sid"), "n", "toks")
+    if collection.scratch:
+        sets, members = collection.scratch.save(sets, "class_sets"), collection.scratch.save(members, "class_members")
+    scratch = Scratch(collection.spark, "classes") if collection.scratch else None
+    return Collection(sets, collection.vocab, 0, scratch), members
+
+
+def _expanded(pairs: DataFrame, classes: Collection, members: DataFrame, spec: SimSpec) -> DataFrame:
+    """Pairs of classes as pairs of their members, and the pairs within a class (in blocks, as those of a prefix group)."""
+    one = lambda side: members.select(F.col("class_id").alias(f"id_{side}"), F.col("sid").alias(f"one_{side}"))
+    swap = F.col("one_r") < F.col("one_l")
+    pick = lambda a, b: F.when(swap, F.col(a)).otherwise(F.col(b))
+    wide = pairs.join(one("l"), "id_l").join(one("r"), "id_r")
+    wide = wide.select(pick("one_r", "one_l").alias("id_l"), pick("one_l", "one_r").alias("id_r"), pick("n_r", "n_l").alias("n_l"), pick("n_l", "n_r").alias("n_r"), "overlap", "sim")
+    sizes = members.groupBy("class_id").agg(F.count("*").alias("size")).filter("size > 1").join(classes.sets.select(F.col("sid").alias("class_id"), "n"), "class_id")
+    blocks = F.ceil(F.col("size") / cand.GROUP_BLOCK).cast("int")
+    several = members.join(sizes, "class_id")
+    r = several.select("class_id", "n", F.col("sid").alias("id_r"), F.explode(F.sequence(F.lit(0), blocks - 1)).alias("block"))
+    l = several.select("class_id", F.col("sid").alias("id_l"), F.pmod(F.xxhash64("sid"), blocks).cast("int").alias("block"))  # noqa: E741
+    same = r.join(l, ["class_id", "block"]).filter("id_l < id_r").select("id_l", "id_r", F.col("n").alias("n_l"), F.col("n").alias("n_r"), F.col("n").alias("overlap"))
+    same = same.filter(spec.accepts_col("overlap", "n_l", "n_r"))
+    return wide.unionByName(same.withColumn("sim", spec.sim_col("overlap", "n_l", "n_r")))
 
 
 # around the joins --------------------------------------------------------------------------------------------------------

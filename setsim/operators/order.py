@@ -11,8 +11,12 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from setsim.functions.bitmap import BitmapSpec, attach
 from setsim.scratch import Scratch
 
+#: A token of more sets than this is cut into blocks when postings are joined on it.
+HOT_DF = 200_000
+
 
 def build_vocab(long: DataFrame, scratch: Scratch) -> DataFrame:
     """``(tok, df, rank)`` in ascending order of (df, tok), ranks from 0."""
@@ -39,17 +43,38 @@ def encode(long: DataFrame, vocab: DataFrame) -> DataFrame:
 
 @dataclass
 class Collection:
-    """An encoded collection: materialised sets, its vocabulary, and how many ranks occur in one set only."""
+    """An encoded collection: materialised sets, its vocabulary, and how many ranks occur in one set only.
+
+    ``known`` keeps what was derived from them once: sketches (sets with bitmap words, written), statistics.
+    """
 
     sets: DataFrame
     vocab: DataFrame
     singles: int = 0
     scratch: Scratch | None = field(default=None, repr=False)
+    known: dict = field(default_factory=dict, repr=False)
 
     @property
     def spark(self):
         return self.sets.sparkSession
 
+    def once(self, key: tuple, make):
+        """What ``make()`` gives for a key, made at the first call."""
+        if key not in self.known:
+            self.known[key] = make()
+        return self.known[key]
+
+    def sketch(self, bitmap: BitmapSpec) -> DataFrame:
+        """The sets with the bitmap's words, written once per variant, width and hash."""
+        made = lambda: attach(self.sets, bitmap)
+        name = f"sketch_{bitmap.variant}_{bitmap.b}_{bitmap.hash}"
+        return self.once((name,), lambda: Scratch(self.spark, "sketch").save(made(), name) if self.scratch else made())
+
+    def hot(self, limit: int = HOT_DF) -> DataFrame | None:
+        """``(rank, blocks)`` of tokens in more than ``limit`` sets; None without any. At most one per ``limit`` postings."""
+        found = self.vocab.filter(F.col("df") > limit).select("rank", F.ceil(F.col("df") / limit).cast("int").alias("blocks"))
+        return found if self.once(("hot", limit), lambda: not found.isEmpty()) else None
+
 
 def prepare(long: DataFrame) -> Collection:
     """Vocabulary and encoding of one collection (what the measured joins exclude from their time)."""

@@ -28,9 +28,8 @@ def attach_tokens(pairs: DataFrame, left: DataFrame, right: DataFrame, columns:
     return pairs.join(r, "sid_r").join(s, "sid_s")
 
 
-def merge_overlap(a: np.ndarray, b: np.ndarray, required: int) -> int:
-    """Overlap of two sorted arrays, or -1 as soon as ``required`` is out of reach (block-wise merge)."""
-    found, i, j = 0, 0, 0
+def merge_overlap(a: np.ndarray, b: np.ndarray, required: int, i: int = 0, j: int = 0, found: int = 0) -> int:
+    """Overlap of two sorted arrays from positions i and j on, or -1 as soon as ``required`` is out of reach (block-wise merge)."""
     while i < len(a) and j < len(b):
         if found + min(len(a) - i, len(b) - j) < required:
             return -1
@@ -42,12 +41,14 @@ def merge_overlap(a: np.ndarray, b: np.ndarray, required: int) -> int:
     return found if found >= required else -1
 
 
-def _merge_stop(batches: Iterator[tuple[pa.Array, pa.Array, pa.Array]]) -> Iterator[pa.Array]:
-    for left, right, required in batches:
-        out = []
-        for a, b, k in zip(left, right, required.to_pylist(), strict=True):
-            out.append(merge_overlap(a.values.to_numpy(zero_copy_only=False), b.values.to_numpy(zero_copy_only=False), k))
-        yield pa.array(out, pa.int32())
+def _merge_stop(batches: Iterator[tuple[pa.Array, ...]]) -> Iterator[pa.Array]:
+    for left, right, required, i, j, found in batches:
+        sides = [(x.offsets.to_numpy(), x.values.to_numpy(zero_copy_only=False)) for x in (left, right)]
+        (at_a, flat_a), (at_b, flat_b) = sides
+        out = np.empty(len(required), np.int32)
+        for k, (need_, p, q, seen) in enumerate(zip(*(x.to_pylist() for x in (required, i, j, found)), strict=True)):
+            out[k] = merge_overlap(flat_a[at_a[k] : at_a[k + 1]], flat_b[at_b[k] : at_b[k + 1]], need_, p, q, seen)
+        yield pa.array(out)
 
 
 def overlaps(pairs: DataFrame, left: DataFrame, right: DataFrame, spec: SimSpec, how: str = "intersect", universe: int | None = None) -> DataFrame:
@@ -56,8 +57,13 @@ def overlaps(pairs: DataFrame, left: DataFrame, right: DataFrame, spec: SimSpec,
     if how == "intersect":
         return attach_tokens(base, left, right).select("sid_r", "sid_s", "n_r", "n_s", F.size(F.array_intersect("toks_r", "toks_s")).alias("overlap"))
     if how == "merge_stop":
-        wide = attach_tokens(base, left, right)
-        return wide.select("sid_r", "sid_s", "n_r", "n_s", F.arrow_udf(_merge_stop, "int")("toks_r", "toks_s", need(spec)).alias("overlap")).filter("overlap >= 0")
+        # with the positions of the first common token the merge starts behind it
+        placed = "pos_r" in pairs.columns and "pos_s" in pairs.columns
+        wide = attach_tokens(pairs if placed else base, left, right)
+        after = lambda side: F.when(F.get("toks_r", F.col("pos_r")) == F.get("toks_s", F.col("pos_s")), F.col(f"pos_{side}") + 1).otherwise(0) if placed else F.lit(0)
+        seen = F.when(after("r") > 0, 1).otherwise(0)
+        counted = F.arrow_udf(_merge_stop, "int")("toks_r", "toks_s", need(spec), after("r"), after("s"), seen)
+        return wide.select("sid_r", "sid_s", "n_r", "n_s", counted.alias("overlap")).filter("overlap >= 0")
     if how == "relational":
         r = base.join(left.select(F.col("sid").alias("sid_r"), F.explode("toks").alias("t")), "sid_r")
         s = right.select(F.col("sid").alias("sid_s"), F.explode("toks").alias("t"))

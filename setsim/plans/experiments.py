@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from statistics import median
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,6 +19,15 @@ COMPARED = {"ELL": ("ell_prefix", {"ell": 2}), "PFX-L": ("prefix_length", {}), "
 WIDTHS = (64, 128, 192, 256, 320, 512, 1024, 2048, 4096)
 
 
+def interleaved(forms: dict[str, object], runs: int = 3) -> dict[str, float]:
+    """Median seconds per form; the forms take turns, so none always runs first."""
+    took: dict[str, list[float]] = {k: [] for k in forms}
+    for _ in range(runs):
+        for k, make in forms.items():
+            took[k].append(metrics.seconds(make, 1))
+    return {k: median(v) for k, v in took.items()}
+
+
 def runtimes(spark: SparkSession, inputs: dict[str, Collection], thresholds=THRESHOLDS, methods=COMPARED, bitmap: BitmapSpec | None = None, runs: int = 1) -> DataFrame:
     """Seconds of every input, method and threshold, without and with the bitmap filter."""
     rows = []
@@ -23,20 +35,50 @@ def runtimes(spark: SparkSession, inputs: dict[str, Collection], thresholds=THRE
         for t in thresholds:
             spec = SimSpec.of("jaccard", t)
             for label, (method, options) in methods.items():
-                orig = metrics.seconds(lambda: join_collections(c, None, spec, method, **options), runs)
-                hbf = metrics.seconds(lambda: join_collections(c, None, spec, method, bitmap=bitmap or BitmapSpec(), **options), runs)
-                rows.append((name, label, t, orig, hbf))
-    return spark.createDataFrame(rows, "input string, method string, threshold string, seconds_orig double, seconds_hbf double")
+                joined = lambda bits, method=method, options=options: join_collections(c, None, spec, method, bitmap=bits, **options)  # noqa: B023, E731
+                took = interleaved({"orig": lambda joined=joined: joined(None), "hbf": lambda joined=joined: joined(bitmap or BitmapSpec())}, runs)
+                rows.append((name, label, t, took["orig"], took["hbf"]))
+    return spark.createDataFrame(rows, "input string, method string, threshold string, cost_orig double, cost_hbf double")
+
+
+def result_sizes(c: Collection, thresholds=THRESHOLDS, methods=COMPARED, bitmap: BitmapSpec | None = None) -> DataFrame:
+    """Pairs and summed overlap of every method, threshold and form: equal across methods and forms."""
+    out = []
+    for t in thresholds:
+        for label, (method, options) in methods.items():
+            for form, bits in (("orig", None), ("hbf", bitmap or BitmapSpec())):
+                joined = join_collections(c, None, SimSpec.of("jaccard", t), method, bitmap=bits, **options)
+                sums = joined.agg(F.count("*").alias("pairs"), F.coalesce(F.sum("overlap"), F.lit(0)).cast("long").alias("overlap"))
+                out.append(sums.select(F.lit(t).alias("threshold"), F.lit(label).alias("method"), F.lit(form).alias("form"), "pairs", "overlap"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def verified_pairs(inputs: dict[str, Collection], thresholds=("0.5", "0.8"), bitmap: BitmapSpec | None = None) -> DataFrame:
+    """A table of runs whose cost is the number of pairs to verify, without and with the filter."""
+    out = []
+    for name, c in inputs.items():
+        for t in thresholds:
+            for label, positional in (("PFX-L", False), ("PFX-LP", True)):
+                one = metrics.prune_ratio(c, SimSpec.of("jaccard", t), bitmap or BitmapSpec("xor", 64, cutoff=None), positional)
+                out.append(one.select(F.lit(name).alias("input"), F.lit(label).alias("method"), F.lit(t).alias("threshold"), F.col("candidates").cast("double").alias("cost_orig"), (F.col("candidates") - F.col("pruned")).cast("double").alias("cost_hbf")))
+    return reduce(DataFrame.unionByName, out)
 
 
 def ratios(inputs: dict[str, Collection], thresholds=THRESHOLDS, bitmap: BitmapSpec | None = None) -> DataFrame:
     """Pruning ratio per input and threshold."""
-    out = None
+    out = []
     for name, c in inputs.items():
         for t in thresholds:
-            one = metrics.prune_ratio(c, SimSpec.of("jaccard", t), bitmap or BitmapSpec()).withColumns({"input": F.lit(name), "threshold": F.lit(t)})
-            out = one if out is None else out.unionByName(one)
-    return out
+            out.append(metrics.prune_ratio(c, SimSpec.of("jaccard", t), bitmap or BitmapSpec()).withColumns({"input": F.lit(name), "threshold": F.lit(t)}))
+    return reduce(DataFrame.unionByName, out)
+
+
+def ratios_by_shape(c: Collection, threshold: str, shapes) -> DataFrame:
+    """Pruning ratio per variant and width ``(variant, b)``, without cutoff."""
+    out = []
+    for v, b in shapes:
+        out.append(metrics.prune_ratio(c, SimSpec.of("jaccard", threshold), BitmapSpec(v, b, cutoff=None)).withColumns({"variant": F.lit(v), "b": F.lit(b)}))
+    return reduce(DataFrame.unionByName, out)
 
 
 def block_widths(spark: SparkSession, inputs: dict[str, Collection], thresholds=("0.5", "0.6", "0.7", "0.75"), widths=WIDTHS, runs: int = 1) -> DataFrame:

@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
-from setsim.functions.bitmap import BitmapSpec, attach
+from setsim.functions.bitmap import BitmapSpec, hamming
 from setsim.functions.spec import SimSpec
 from setsim.functions.theory import resolve_cutoff
 from setsim.operators.candidates import choose_dedup, meetings, prefix_candidates, prefix_postings
@@ -44,17 +44,32 @@ def token_histogram(long: DataFrame) -> DataFrame:
     return long.groupBy("tok").agg(F.count("*").alias("df")).groupBy("df").agg(F.count("*").alias("tokens"))
 
 
-def tested_candidates(collection: Collection, spec: SimSpec, bitmap: BitmapSpec) -> DataFrame:
-    """Unique prefix-and-length candidates with ``kept``: whether the bitmap filter lets them pass."""
+def tested_candidates(collection: Collection, spec: SimSpec, bitmap: BitmapSpec, positional: bool = False) -> DataFrame:
+    """Unique prefix-and-length (and positional) candidates with ``kept``: whether the bitmap filter lets them pass."""
     bitmap = bitmap.resolved(spec)
-    found = prefix_candidates(collection.sets, collection.sets, spec, self_join=True, singles=collection.singles)
-    marked = attach_tokens(found, a := attach(collection.sets, bitmap), a, tuple(bitmap.columns))
+    dedup = collection.once(("dedup", spec), lambda: choose_dedup(collection.sets, spec))
+    found = prefix_candidates(collection.sets, collection.sets, spec, self_join=True, singles=collection.singles, dedup=dedup, positional=positional, hot=collection.hot())
+    marked = attach_tokens(found, a := collection.sketch(bitmap), a, tuple(bitmap.columns))
     return marked.select("sid_r", "sid_s", "n_r", "n_s", hbf_keep(spec, bitmap, resolve_cutoff(bitmap, spec)).alias("kept"))
 
 
-def prune_ratio(collection: Collection, spec: SimSpec, bitmap: BitmapSpec) -> DataFrame:
+def prune_ratio(collection: Collection, spec: SimSpec, bitmap: BitmapSpec, positional: bool = False) -> DataFrame:
     """Candidates, pruned ones and their share."""
-    return tested_candidates(collection, spec, bitmap).agg(F.count("*").alias("candidates"), F.count_if(~F.col("kept")).alias("pruned")).withColumn("ratio", F.round(F.col("pruned") / F.col("candidates"), 6))
+    return tested_candidates(collection, spec, bitmap, positional).agg(F.count("*").alias("candidates"), F.count_if(~F.col("kept")).alias("pruned")).withColumn("ratio", F.round(F.try_divide("pruned", "candidates"), 6))
+
+
+def variant_distance(collection: Collection, b: int = 64, first: str = "or", second: str = "xor") -> DataFrame:
+    """Mean number of bits in which two variants' bitmaps of one set differ, by set size."""
+    one, other = collection.sketch(BitmapSpec(first, b)), collection.sketch(BitmapSpec(second, b))
+    words = BitmapSpec(first, b).columns
+    both = one.select("sid", "n", *[F.col(w).alias(f"{w}_r") for w in words]).join(other.select("sid", *[F.col(w).alias(f"{w}_s") for w in words]), "sid")
+    apart = hamming([f"{w}_r" for w in words], [f"{w}_s" for w in words])
+    return both.groupBy("n").agg(F.count("*").alias("sets"), F.round(F.avg(apart), 6).alias("bits"))
+
+
+def naive_tests(collection: Collection) -> DataFrame:
+    """Pairs of sets that a join without filters verifies."""
+    return collection.sets.agg(F.count("*").alias("sets")).withColumn("tests", F.expr("sets * (sets - 1) div 2"))
 
 
 def prune_ratio_by_variant(collection: Collection, spec: SimSpec, b: int = 64, variants=("or", "xor", "probe")) -> DataFrame:
@@ -98,12 +113,12 @@ def stage_counts(collection: Collection, spec: SimSpec, bitmap: BitmapSpec, dedu
     return spark.createDataFrame([row], "hits long, candidates long, tests long, pruned long, verified long, similar long")
 
 
-# measures over a table of runs (input, method, threshold, seconds_orig, seconds_hbf) ---------------------------------------------
+# measures over a table of runs (input, method, threshold, cost_orig, cost_hbf); a cost is seconds, or pairs to verify -----------
 
 
 def improvement(runs: DataFrame) -> DataFrame:
     """Speed-up and percentage gained by the filter, per run."""
-    return runs.withColumns({"speedup": F.col("seconds_orig") / F.col("seconds_hbf"), "improvement": (F.col("seconds_orig") / F.col("seconds_hbf") - 1) * 100})
+    return runs.withColumns({"speedup": F.col("cost_orig") / F.col("cost_hbf"), "improvement": (F.col("cost_orig") / F.col("cost_hbf") - 1) * 100})
 
 
 def mean_improvement(runs: DataFrame) -> DataFrame:
@@ -118,14 +133,14 @@ def by_threshold(means: DataFrame, key: str) -> DataFrame:
 
 
 def totals(runs: DataFrame) -> DataFrame:
-    """Seconds with and without filter per method and the percentage saved."""
-    sums = runs.groupBy("method").agg(F.sum("seconds_orig").alias("orig"), F.sum("seconds_hbf").alias("hbf"))
+    """Cost with and without filter per method and the percentage saved."""
+    sums = runs.groupBy("method").agg(F.sum("cost_orig").alias("orig"), F.sum("cost_hbf").alias("hbf"))
     return sums.withColumn("saved", F.round((1 - F.col("hbf") / F.col("orig")) * 100, 6))
 
 
 def wins(runs: DataFrame) -> DataFrame:
     """How often each method is fastest on an input and threshold: among originals, among filtered, among all."""
-    long = runs.select("input", "threshold", "method", F.explode(F.array(F.struct(F.lit("orig").alias("form"), F.col("seconds_orig").alias("s")), F.struct(F.lit("hbf").alias("form"), F.col("seconds_hbf").alias("s")))).alias("x")).select("input", "threshold", "method", "x.form", "x.s")
+    long = runs.select("input", "threshold", "method", F.explode(F.array(F.struct(F.lit("orig").alias("form"), F.col("cost_orig").alias("s")), F.struct(F.lit("hbf").alias("form"), F.col("cost_hbf").alias("s")))).alias("x")).select("input", "threshold", "method", "x.form", "x.s")
     place = lambda *extra: F.rank().over(Window.partitionBy("input", "threshold", *extra).orderBy("s"))
     ranked = long.withColumns({"in_form": place("form"), "overall": place()})
     return ranked.groupBy("method", "form").agg(F.count_if(F.col("in_form") == 1).alias("wins_in_form"), F.count_if(F.col("overall") == 1).alias("wins_overall"))
@@ -133,6 +148,6 @@ def wins(runs: DataFrame) -> DataFrame:
 
 def share_improved(runs: DataFrame) -> DataFrame:
     """Share of runs that the filter makes faster, and of inputs whose fastest run uses it."""
-    per_run = runs.agg(F.round(F.avg((F.col("seconds_hbf") < F.col("seconds_orig")).cast("double")), 6).alias("runs_improved"))
-    best = runs.groupBy("input", "threshold").agg(F.min("seconds_orig").alias("o"), F.min("seconds_hbf").alias("h"))
+    per_run = runs.agg(F.round(F.avg((F.col("cost_hbf") < F.col("cost_orig")).cast("double")), 6).alias("runs_improved"))
+    best = runs.groupBy("input", "threshold").agg(F.min("cost_orig").alias("o"), F.min("cost_hbf").alias("h"))
     return per_run.join(best.agg(F.round(F.avg((F.col("h") < F.col("o")).cast("double")), 6).alias("inputs_improved")))

@@ -16,7 +16,7 @@ from setsim.functions.bitmap import BitmapSpec, attach, bit_string
 from setsim.functions.spec import SimSpec
 from setsim.operators import joins
 from setsim.operators.order import Collection, prepare, prepare_pair
-from setsim.plans import metrics, planner
+from setsim.plans import experiments, metrics, planner
 from setsim.scratch import Scratch
 from setsim.sources.workloads import WORKLOADS, synth, table
 from setsim.streaming.sets import stream_sets
@@ -44,6 +44,8 @@ SETS_SQL = {k: f"SELECT DISTINCT CAST({sid} AS BIGINT) AS sid, unnest({arr}) AS
     "cust_brands": "SELECT DISTINCT o_custkey AS sid, p_brand AS tok FROM orders JOIN lineitem ON o_orderkey = l_orderkey JOIN part ON l_partkey = p_partkey",
     "cust_parts": "SELECT DISTINCT o_custkey AS sid, CAST(l_partkey AS VARCHAR) AS tok FROM orders JOIN lineitem ON o_orderkey = l_orderkey",
     "supp_parts": "SELECT DISTINCT l_suppkey AS sid, CAST(l_partkey AS VARCHAR) AS tok FROM lineitem",
+    "turn_words": f"SELECT DISTINCT CAST(conv_id * 1000 + turn AS BIGINT) AS sid, unnest(regexp_extract_all(lower(text), '{_WORD}')) AS tok FROM conversations",
+    "user_evt_hour": "SELECT DISTINCT CAST(user_id AS BIGINT) AS sid, event_type || '@' || strftime(ts, '%Y-%m-%d %H') AS tok FROM events",
     "user_evt_dow": "SELECT DISTINCT CAST(user_id AS BIGINT) AS sid, event_type || '@' || CAST(dayofweek(ts) AS VARCHAR) AS tok FROM events",
 }
 
@@ -82,16 +84,33 @@ SELECT sid, string_agg(bit, '' ORDER BY t DESC) AS bits FROM bits WHERE t >= {b}
     return f"{head} SELECT ids.sid, string_agg(CASE WHEN {on} THEN '1' ELSE '0' END, '' ORDER BY i.k DESC) AS bits FROM ids CROSS JOIN range({b}) i(k) LEFT JOIN load ON load.sid = ids.sid AND load.k = i.k GROUP BY ids.sid"
 
 
-def candidates_sql(workload: str, spec: SimSpec, variant: str) -> str:
-    """Prefix-and-length candidates of a Jaccard self-join with the 64-bit filter's verdict (no cutoff)."""
+def candidates_sql(workload: str, spec: SimSpec, variant: str, b: int = 64) -> str:
+    """Prefix-and-length candidates of a Jaccard self-join: ``kept`` by the filter (no cutoff), ``placed`` by their positions."""
     p, q = spec.num, spec.den
-    word = f"bit_{variant}(1::UBIGINT << CAST(rank % 64 AS UBIGINT))"
+    need = f"({p} * (c.n + c.m) + {p + q - 1}) // {p + q}"
+    if b == 64 and variant != "probe":
+        bits, distance = f"SELECT sid, bit_{variant}(1::UBIGINT << CAST(rank % 64 AS UBIGINT)) AS w FROM t GROUP BY sid", "bit_count(xor(x.w, y.w))"
+    else:
+        bits, distance = f"SELECT sid, bits AS w FROM ({bitmap_sql(workload, b, variant)})", "hamming(x.w, y.w)"
     return f"""WITH {_RANKED.format(sets=SETS_SQL[workload])}, t AS (SELECT sid, rank, count(*) OVER (PARTITION BY sid) AS n, row_number() OVER (PARTITION BY sid ORDER BY rank) AS i FROM s JOIN v USING (tok)),
-p AS (SELECT * FROM t WHERE i <= n - (({p} * n + {q - 1}) // {q}) + 1), w AS (SELECT sid, n, {word} AS w FROM t GROUP BY sid, n),
-c AS (SELECT DISTINCT a.sid AS r, b.sid AS s, a.n AS n, b.n AS m FROM p a JOIN p b ON a.rank = b.rank AND (b.n, b.sid) < (a.n, a.sid) AND b.n * {q} >= {p} * a.n),
-k AS (SELECT c.*, (c.n + c.m - bit_count(xor(x.w, y.w))) // 2 >= ({p} * (c.n + c.m) + {p + q - 1}) // {p + q} AS kept FROM c JOIN w x ON x.sid = c.r JOIN w y ON y.sid = c.s)"""
+p AS (SELECT * FROM t WHERE i <= n - (({p} * n + {q - 1}) // {q}) + 1), w AS ({bits}),
+h AS (SELECT a.sid AS r, b.sid AS s, a.n AS n, b.n AS m, a.i AS i, b.i AS j FROM p a JOIN p b ON a.rank = b.rank AND (b.n, b.sid) < (a.n, a.sid) AND b.n * {q} >= {p} * a.n),
+c AS (SELECT r, s, n, m, min(i) AS i, min(j) AS j FROM h GROUP BY r, s, n, m),
+k AS (SELECT c.*, (c.n + c.m - {distance}) // 2 >= {need} AS kept, least(c.n - c.i, c.m - c.j) + 1 >= {need} AS placed FROM c JOIN w x ON x.sid = c.r JOIN w y ON y.sid = c.s)"""
 
 
+def ratio_sql(workload: str, threshold: str, variant: str, b: int = 64, more: str = "") -> str:
+    return f"{candidates_sql(workload, SimSpec.of('jaccard', threshold), variant, b)} SELECT count(*) AS candidates, count(*) FILTER (NOT kept) AS pruned, round(count(*) FILTER (NOT kept) / nullif(count(*), 0), 6) AS ratio{more} FROM k"
+
+
+def union_sql(parts) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({x})" for x in parts)
+
+
+#: Thresholds of the ratio and join series per collection; dense collections start where their candidates stay below 10^7.
+RATIO_SERIES = {"order_parts": ("0.5", "0.6", "0.7", "0.75", "0.8", "0.85", "0.9", "0.95"), "part_name_q2": ("0.7", "0.8", "0.9"), "cust_brands": ("0.7", "0.8", "0.9"), "user_evt_dow": ("0.5", "0.6", "0.7", "0.8", "0.9", "0.95"), "doc_words": ("0.7", "0.8", "0.9"), "doc_q3": ("0.8", "0.9"), "page_words": ("0.5", "0.6", "0.7", "0.8", "0.9"), "emb_pos": ("0.5", "0.6", "0.7")}
+JOIN_SERIES = {"order_parts": ("0.5", "0.7", "0.95"), "part_name_q2": ("0.85", "0.95"), "cust_brands": ("0.85", "0.95"), "user_evt_dow": ("0.6", "0.75", "0.9"), "doc_words": ("0.75", "0.85"), "doc_q3": ("0.85", "0.95"), "page_words": ("0.6", "0.75", "0.9"), "emb_pos": ("0.5", "0.6")}
+
 # registration ----------------------------------------------------------------------------------------------------------------
 
 
@@ -165,8 +184,13 @@ _join("cosine_cust_brands_t95", "cust_brands", "0.95", "prefix_length", measure=
 for _t in ("5", "10", "20"):
     _join(f"rs_bench_overlap{_t}", "doc_shingles", _t, "prefix_length", measure="overlap", right="bench_shingles")
 _join("rs_bench_overlap10_hbf", "doc_shingles", "10", "prefix_positional", measure="overlap", right="bench_shingles", bitmap=BitmapSpec("xor", 1024))
-for _w in ("cust_parts", "supp_parts", "conv_words"):
+for _w in ("cust_parts", "supp_parts", "conv_words", "turn_words", "user_evt_hour"):
     _join(f"control_{_w}_t50", _w, "0.5", "prefix_length", bitmap=BitmapSpec())
+_join("pfxl_order_parts_t80_xx64", "order_parts", "0.8", "prefix_length", bitmap=BitmapSpec("xor", 64, hash="xx64"))
+_join("pfxlp_order_parts_t60_kernel", "order_parts", "0.6", "prefix_positional", bitmap=BitmapSpec("xor", 64), hbf_at="kernel")
+_join("pfxl_order_parts_t80_size_key", "order_parts", "0.8", "prefix_length", bitmap=BitmapSpec(), size_key=True, hot_df=20)
+_join("ell2_emb_pos_t50_size_key", "emb_pos", "0.5", "ell_prefix", ell=2, bitmap=BitmapSpec(), size_key=True, hot_df=100)
+_join("grp_order_parts_t80_collapse", "order_parts", "0.8", "grouped_prefix", bitmap=BitmapSpec(), collapse=True)
 
 
 def _profiles() -> None:
@@ -189,19 +213,37 @@ def _bitmaps() -> None:
     for w, t, v in (("order_parts", "0.5", "xor"), ("order_parts", "0.8", "xor"), ("order_parts", "0.8", "or"), ("page_words", "0.7", "xor")):
         spec = SimSpec.of("jaccard", t)
         register(f"prune_ratio_{w}_{_tag(t)}_{v}", lambda spark, d, w=w, v=v, spec=spec: metrics.prune_ratio(collection(spark, d, w), spec, BitmapSpec(v, 64, cutoff=None)), f"{candidates_sql(w, spec, v)} SELECT count(*) AS candidates, count(*) FILTER (NOT kept) AS pruned, round(count(*) FILTER (NOT kept) / count(*), 6) AS ratio FROM k")
-    register("prune_ratio_by_variant", lambda spark, d: metrics.prune_ratio_by_variant(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.5")))
-    register("prune_ratio_by_width", lambda spark, d: _widths(collection(spark, d, "page_words"), SimSpec.of("jaccard", "0.7")))
-    register("precision_by_size", lambda spark, d: metrics.precision_by_size(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.5")))
-    register("stage_counts", lambda spark, d: metrics.stage_counts(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.5"), BitmapSpec("xor", 64, cutoff=None)))
-    register("recall_lost_pairs", lambda spark, d: metrics.lost_pairs(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.5"), "prefix_length", bitmap=BitmapSpec()), "SELECT CAST(0 AS BIGINT) AS id_l, CAST(0 AS BIGINT) AS id_r, 0 AS n_l, 0 AS n_r, 0 AS overlap, CAST(0 AS DOUBLE) AS sim WHERE false")
-
-
-def _widths(c: Collection, spec: SimSpec, widths=(64, 128, 256, 512)) -> DataFrame:
-    out = None
-    for b in widths:
-        one = metrics.prune_ratio(c, spec, BitmapSpec("xor", b, cutoff=None)).withColumn("b", F.lit(b))
-        out = one if out is None else out.unionByName(one)
-    return out
+    order, pages = "order_parts", "page_words"
+    for name, w, t, shapes in (("prune_ratio_by_variant", order, "0.5", [(v, 64) for v in ("or", "xor", "probe")]), ("prune_ratio_by_width", pages, "0.7", [("xor", b) for b in (64, 128, 256, 512)]),
+                               ("prune_shapes_user_evt_dow", "user_evt_dow", "0.8", [(v, b) for v in ("or", "xor", "probe") for b in (16, 32, 64)]), ("prune_shapes_part_name_q2", "part_name_q2", "0.8", [(v, b) for v in ("or", "xor") for b in (16, 32)]), ("prune_shapes_doc_words", "doc_words", "0.8", [(v, 512) for v in ("or", "xor")])):
+        register(name, lambda spark, d, w=w, t=t, shapes=shapes: experiments.ratios_by_shape(collection(spark, d, w), t, shapes), union_sql(ratio_sql(w, t, v, b, f", '{v}' AS variant, {b} AS b") for v, b in shapes))
+    for w, ts in RATIO_SERIES.items():
+        bits = BitmapSpec("xor", 64, cutoff=None)
+        register(f"prune_series_{w}", lambda spark, d, w=w, ts=ts: experiments.ratios({w: collection(spark, d, w)}, ts, bits), union_sql(ratio_sql(w, t, "xor", 64, f", '{w}' AS input, '{t}' AS threshold") for t in ts))
+    for name, w, t in (("precision_by_size", order, "0.5"), *((f"precision_{w}_{_tag(t)}", w, t) for w in (pages, "user_evt_dow") for t in ("0.5", "0.6", "0.7", "0.8"))):
+        spec = SimSpec.of("jaccard", t)
+        register(name, lambda spark, d, w=w, spec=spec: metrics.precision_by_size(collection(spark, d, w), spec), f"""{candidates_sql(w, spec, "xor")}, o AS (SELECT k.r, k.s, k.n, k.m, count(*) AS o FROM k JOIN t x ON x.sid = k.r JOIN t y ON y.sid = k.s AND x.rank = y.rank WHERE kept GROUP BY ALL)
+SELECT CAST(n AS INTEGER) AS n, count(*) AS unpruned, count(*) FILTER ({_accepts("jaccard", spec.num, spec.den)}) AS similar, round(count(*) FILTER ({_accepts("jaccard", spec.num, spec.den)}) / count(*), 6) AS precision FROM o GROUP BY n""")
+    half = SimSpec.of("jaccard", "0.5")
+    register("stage_counts", lambda spark, d: metrics.stage_counts(collection(spark, d, order), half, BitmapSpec("xor", 64, cutoff=None)), f"""{candidates_sql(order, half, "xor")}
+SELECT (SELECT count(*) FROM h) AS hits, count(*) AS candidates, count(*) AS tests, count(*) FILTER (NOT kept) AS pruned, count(*) FILTER (kept) AS verified, (SELECT count(*) FROM ({pairs_sql(order, "jaccard", "0.5")})) AS similar FROM k""")
+    for w, b in ((order, 64), (pages, 256)):
+        register(f"variant_distance_{w}", lambda spark, d, w=w, b=b: metrics.variant_distance(collection(spark, d, w), b), f"""WITH {_RANKED.format(sets=SETS_SQL[w])}, load AS (SELECT sid, rank % {b} AS slot, count(*) AS c FROM s JOIN v USING (tok) GROUP BY 1, 2),
+per AS (SELECT sid, sum(c) AS n, count(*) FILTER (c % 2 = 0) AS bits FROM load GROUP BY sid) SELECT CAST(n AS INTEGER) AS n, count(*) AS sets, round(avg(bits), 6) AS bits FROM per GROUP BY n""")
+    register("naive_tests_order_parts", lambda spark, d: metrics.naive_tests(collection(spark, d, order)), f"SELECT count(*) AS sets, count(*) * (count(*) - 1) // 2 AS tests FROM (SELECT DISTINCT sid FROM ({SETS_SQL[order]}))")
+    for w, ts in JOIN_SERIES.items():
+        base = pairs_sql(w, "jaccard", ts[0])
+        counts = " UNION ALL ".join(f"SELECT '{t}' AS threshold, count(*) FILTER ({ok}) AS pairs, CAST(coalesce(sum(overlap) FILTER ({ok}), 0) AS BIGINT) AS overlap FROM p" for t in ts for ok in [_accepts("jaccard", SimSpec.of("jaccard", t).num, SimSpec.of("jaccard", t).den)])
+        register(f"join_series_{w}", lambda spark, d, w=w, ts=ts: experiments.result_sizes(collection(spark, d, w), ts), f"WITH p AS (SELECT *, overlap AS o, n_l AS n, n_r AS m FROM ({base})), c AS ({counts}) SELECT threshold, method, form, pairs, overlap FROM c, (VALUES ('ELL'), ('PFX-L'), ('GRP'), ('PFX-LP')) x(method), (VALUES ('orig'), ('hbf')) y(form)")
+    nothing = "SELECT CAST(0 AS BIGINT) AS id_l, CAST(0 AS BIGINT) AS id_r, 0 AS n_l, 0 AS n_r, 0 AS overlap, CAST(0 AS DOUBLE) AS sim WHERE false"
+    for kind in ("uniform", "zipf"):
+        register(f"synth_{kind}_lost_pairs", lambda spark, d, kind=kind: _lost_in_synth(spark, kind), nothing)
+    register("recall_lost_pairs", lambda spark, d: metrics.lost_pairs(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.5"), "prefix_length", bitmap=BitmapSpec()), nothing)
+
+
+def _lost_in_synth(spark: SparkSession, kind: str) -> DataFrame:
+    """Pairs of a generated collection that the filtered prefix join misses (none)."""
+    return metrics.lost_pairs(prepare(synth(spark, kind, 1500)), SimSpec.of("jaccard", "0.5"), "prefix_positional", bitmap=BitmapSpec())
 
 
 def _theory() -> None:
@@ -214,7 +256,7 @@ SELECT variant, b, tau, CAST(c AS INTEGER) AS cutoff, c / b::DOUBLE AS relative
     register("expected_bound_curve", lambda spark, d: theory.bound_curve(spark), f"""WITH g AS (SELECT variant, CAST(n AS INTEGER) AS n, 64 AS b FROM (VALUES ('or'), ('xor'), ('probe')) v(variant), range(1, 201) r(n)), e AS (SELECT variant, n, {bound} / n AS y FROM g)
 SELECT variant, n, round(y, 9) AS share, round(y / (2 - y), 9) AS jaccard FROM e""")
     for v in ("or", "xor", "probe"):
-        register(f"monte_carlo_{v}", lambda spark, d, v=v: theory.simulate_bound(spark, v, trials=100_000))
+        register(f"monte_carlo_{v}", lambda spark, d, v=v: theory.simulation_agrees(spark, v), f"WITH g AS (SELECT '{v}' AS variant, 64 AS b, n FROM (VALUES (4), (8), (16), (32), (64), (128)) x(n)) SELECT variant, b, n, round({bound}, 6) AS expected, true AS agrees FROM g")
     register("synth_uniform_profile", lambda spark, d: metrics.collection_profile(synth(spark, "uniform", 5000)))
     register("synth_zipf_profile", lambda spark, d: metrics.collection_profile(synth(spark, "zipf", 2000)))
 
@@ -259,22 +301,22 @@ SELECT sid_r AS id_l, sid_s AS id_r, sim_jaccard(x.toks, y.toks) AS sim FROM k J
 
 
 def _measures() -> None:
+    inputs, ts = ("order_parts", "user_evt_dow"), ("0.5", "0.8")
+
     def runs(spark, d) -> DataFrame:
-        """Deterministic stand-in for runtimes: pairs verified without and with the filter."""
-        out = None
-        c = collection(spark, d, "order_parts")
-        for v in ("or", "xor"):
-            for t in ("0.5", "0.8"):
-                one = metrics.prune_ratio(c, SimSpec.of("jaccard", t), BitmapSpec(v, 64, cutoff=None))
-                one = one.select(F.lit("order_parts").alias("input"), F.lit(v).alias("method"), F.lit(t).alias("threshold"), F.col("candidates").cast("double").alias("seconds_orig"), (F.col("candidates") - F.col("pruned")).cast("double").alias("seconds_hbf"))
-                out = one if out is None else out.unionByName(one)
-        return Scratch(spark, "runs").save(out, "runs")
-
-    register("measures_cube", lambda spark, d: metrics.mean_improvement(runs(spark, d)))
-    register("measures_by_threshold", lambda spark, d: metrics.by_threshold(metrics.mean_improvement(runs(spark, d)), "method"))
-    register("measures_totals", lambda spark, d: metrics.totals(runs(spark, d)))
-    register("measures_wins", lambda spark, d: metrics.wins(runs(spark, d)))
-    register("measures_share_improved", lambda spark, d: metrics.share_improved(runs(spark, d)))
+        """A table of runs whose cost is the number of pairs to verify."""
+        return Scratch(spark, "runs").save(experiments.verified_pairs({w: collection(spark, d, w) for w in inputs}, ts), "runs")
+
+    one = lambda w, t, m, rule: f"{candidates_sql(w, SimSpec.of('jaccard', t), 'xor')} SELECT '{w}' AS input, '{m}' AS method, '{t}' AS threshold, CAST(count(*) AS DOUBLE) AS cost_orig, CAST(count(*) FILTER (kept) AS DOUBLE) AS cost_hbf FROM k WHERE {rule}"
+    table_ = "WITH r AS (" + union_sql(one(w, t, m, rule) for w in inputs for t in ts for m, rule in (("PFX-L", "true"), ("PFX-LP", "placed"))) + "), i AS (SELECT *, (cost_orig / cost_hbf - 1) * 100 AS gain FROM r)"
+    mean = "round(avg(gain), 6)"
+    register("measures_cube", lambda spark, d: metrics.mean_improvement(runs(spark, d)), f"{table_} SELECT method, input, threshold, {mean} AS mean_improvement, count(*) AS runs FROM i GROUP BY GROUPING SETS ((method, threshold), (input, threshold), ())")
+    columns = ", ".join(f"round(avg(gain) FILTER (threshold = '{t}'), 6) AS \"{t}\"" for t in ts)
+    register("measures_by_threshold", lambda spark, d: metrics.by_threshold(metrics.mean_improvement(runs(spark, d)), "method"), f"{table_} SELECT method, {columns} FROM i GROUP BY method")
+    register("measures_totals", lambda spark, d: metrics.totals(runs(spark, d)), f"{table_} SELECT method, sum(cost_orig) AS orig, sum(cost_hbf) AS hbf, round((1 - sum(cost_hbf) / sum(cost_orig)) * 100, 6) AS saved FROM r GROUP BY method")
+    long = "l AS (SELECT input, threshold, method, 'orig' AS form, cost_orig AS s FROM r UNION ALL SELECT input, threshold, method, 'hbf', cost_hbf FROM r), p AS (SELECT *, rank() OVER (PARTITION BY input, threshold, form ORDER BY s) AS a, rank() OVER (PARTITION BY input, threshold ORDER BY s) AS b FROM l)"
+    register("measures_wins", lambda spark, d: metrics.wins(runs(spark, d)), f"{table_}, {long} SELECT method, form, count(*) FILTER (a = 1) AS wins_in_form, count(*) FILTER (b = 1) AS wins_overall FROM p GROUP BY method, form")
+    register("measures_share_improved", lambda spark, d: metrics.share_improved(runs(spark, d)), f"{table_}, b AS (SELECT min(cost_orig) AS o, min(cost_hbf) AS h FROM r GROUP BY input, threshold) SELECT (SELECT round(avg(CAST(cost_hbf < cost_orig AS INT)), 6) FROM r) AS runs_improved, (SELECT round(avg(CAST(h < o AS INT)), 6) FROM b) AS inputs_improved")
 
     def choice(spark, d):
         p = planner.plan(collection(spark, d, "order_parts"), SimSpec.of("jaccard", "0.8"))

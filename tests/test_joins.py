@@ -16,6 +16,7 @@ from setsim.sources.io import load_collection, read_sets, save_collection
 from setsim.sources.workloads import from_arrays, order_parts
 
 METHODS = [("prefix_length", {"dedup": "array"}), ("prefix_length", {"dedup": "minrank"}), ("prefix_positional", {}), ("prefix_suffix", {}), ("ell_prefix", {"ell": 1}), ("ell_prefix", {"ell": 2}), ("ell_prefix", {"ell": 3}), ("grouped_prefix", {}), ("block", {}), ("block", {"cap": 2}), ("block", {"kernel": "expr"})]
+SPREAD = [("prefix_length", {"size_key": True}), ("prefix_positional", {"hot_df": 3}), ("prefix_suffix", {"suffix_depth": 3, "hot_df": 5, "size_key": True}), ("ell_prefix", {"ell": 2, "hot_df": 3, "size_key": True}), ("grouped_prefix", {"hot_df": 3, "size_key": True}), ("prefix_positional", {"hbf_at": "kernel"}), ("prefix_length", {"collapse": True}), ("grouped_prefix", {"collapse": True})]
 
 
 def _sets(seed, n=70, universe=30, most=14):
@@ -69,6 +70,33 @@ def test_self_join(small, measure, threshold):
             assert _rows(joins.join_collections(c, None, spec, method, bitmap=bitmap, **options)) == want, (method, options, bitmap)
 
 
+@pytest.mark.parametrize("measure,threshold", [("jaccard", "0.6"), ("cosine", "0.8"), ("dice", "0.75"), ("overlap", "3"), ("jaccard", "1")])
+def test_spread_joins(small, monkeypatch, measure, threshold):
+    """Blocks of hot tokens and large groups, size buckets, the kernel filter and collapsed classes change no result."""
+    monkeypatch.setattr(joins.cand, "GROUP_BLOCK", 2)
+    sets, c = small
+    spec = SimSpec.of(measure, threshold)
+    want = _brute(sets, spec)
+    for method, options in SPREAD if threshold == "0.6" else SPREAD[3:5]:
+        for bitmap in (None, BitmapSpec("xor", 64)):
+            assert _rows(joins.join_collections(c, None, spec, method, bitmap=bitmap, **options)) == want, (method, options, bitmap)
+
+
+def test_hot_token_is_dealt_out(spark):
+    """A token of every set: no join key holds more than its share of the postings."""
+    rng = random.Random(4)
+    sets = [(i, ["hot", *(f"r{rng.randrange(40)}" for _ in range(3))]) for i in range(600)]
+    c = prepare(_long(spark, sets))
+    spec = SimSpec.of("jaccard", "0.2")
+    p = joins.cand.prefix_postings(c.sets, spec)
+    left, right = joins.cand._salted(*joins.cand._bucketed(p, p, spec, True), c.hot(50))
+    top = lambda df: df.groupBy("rank", "z", "salt").count().agg(F.max("count")).first()[0]
+    assert right.count() == p.count() and top(right) < 2.5 * 50 < p.groupBy("rank").count().agg(F.max("count")).first()[0]
+    assert left.groupBy("rank", "z", "salt", "sid").count().filter("count > 1").isEmpty()
+    want = _rows(joins.join_collections(c, None, spec))
+    assert _rows(joins.join_collections(c, None, spec, hot_df=50, size_key=True)) == want
+
+
 def test_join_of_two_collections(spark):
     left = _sets(2, 40)
     right = _sets(3, 30) + [(500 + i, s) for i, s in left[:25]]
@@ -76,7 +104,7 @@ def test_join_of_two_collections(spark):
     want = _brute(left, spec, right)
     assert want
     a, b = prepare_pair(_long(spark, left), _long(spark, right))
-    for method, options in METHODS[:1] + METHODS[2:4] + METHODS[5:6] + METHODS[7:9]:
+    for method, options in METHODS[:1] + METHODS[2:4] + METHODS[5:6] + METHODS[7:9] + SPREAD[3:5]:
         for bitmap in (None, BitmapSpec("or", 64)):
             assert _rows(joins.join_collections(a, b, spec, method, bitmap=bitmap, **options)) == want, (method, bitmap)
     same, again = prepare_pair(_long(spark, left), _long(spark, left))
