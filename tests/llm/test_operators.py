@@ -458,3 +458,69 @@ def test_digests(spark, sf):
     for name, columns in want.items():
         assert QUERIES[name](spark, sf).columns == columns, name
     assert hashlib.sha256(b"").hexdigest() in {r.items_sha256 for r in QUERIES["op2_decontaminate"](spark, sf).collect()}
+
+
+def test_html_without_declared_region(sf):
+    """With article and main renamed to div, tag-path ratios alone find the same text."""
+    import pyarrow.parquet as pq
+
+    pages = [p for p in pq.read_table(f"{sf}/pages.parquet")["html"].to_pylist() if p]
+    same = sum(html.extract(p) == html.extract(re.sub(r"<(/?)(article|main)\b", r"<\1div", p, flags=re.I)) for p in pages)
+    assert pages and same >= 0.98 * len(pages)
+
+
+def test_tag_path_ratios():
+    """Sums per path, smoothing, fusion and threshold against plain loops."""
+    rng = random.Random(12)
+    for _ in range(40):
+        blocks = [html.Block(rng.choice(["a, b. ", "word "]) * rng.randint(1, 30), rng.choice(["div/p", "div/ul/li", "div", "td"]), False, 0, (), False) for _ in range(rng.randint(1, 25))]
+        per = defaultdict(list)
+        for b in blocks:
+            per[b.path].append((len(b.text), sum(c in ".,;:!?" for c in b.text)))
+        series = [[sum(x[k] for x in per[b.path]) / len(per[b.path]) for b in blocks] for k in (0, 1)]
+        near = lambda v, i: sum(w * v[min(len(v) - 1, max(0, i + d))] for d, w in zip((-2, -1, 0, 1, 2), (0.06, 0.24, 0.4, 0.24, 0.06), strict=True))
+        fused = [near(series[0], i) * (near(series[1], i) + 0.1) for i in range(len(blocks))]
+        best = {p: max(f for f, b in zip(fused, blocks, strict=True) if b.path == p) for p in per}
+        limit = 0.5 * sum(fused) / len(fused)
+        got = html._content(blocks, 0.5)
+        assert all(g == (best[b.path] >= limit) for g, b in zip(got, blocks, strict=True) if abs(best[b.path] - limit) > 1e-9)
+
+
+def test_html_long_and_odd_pages(spark):
+    long = "<body><nav>" + "<a href='/x'>menu</a>" * 2000 + "</nav><div>" + _LONG * 300 + "</div></body>"
+    rows = [(1, "u", long), (1, "u", long), (2, "u", None), (3, "u", "<p>" * 3000 + "deep"), (4, "u", "no tags, only text"), (None, None, "<article><p>x, y.</p></article>")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({"text": F.lit("old"), "out": F.lit(1)})
+    got = [(r.page_id, r.text, r.out) for r in html.main_text(pages).collect()]
+    want = "\n".join(_TEXT * 300)
+    assert sorted(got, key=str) == sorted([(1, want, 1), (1, want, 1), (2, "", 1), (3, "deep", 1), (4, "no tags, only text", 1), (None, "x, y.", 1)], key=str)
+    assert html.main_text(pages.limit(0)).count() == 0
+
+
+def test_tree_step():
+    """The first cut of a boosting tree is the best of all cuts."""
+    rng = np.random.default_rng(5)
+    for _ in range(50):
+        n = int(rng.integers(2, 20))
+        g, h = rng.normal(size=n), rng.random(n) + 0.01
+        gain = lambda a, b: (g[a:b].sum()) ** 2 / (h[a:b].sum() + 1)
+        cut = max(range(1, n), key=lambda c: gain(0, c) + gain(c, n))
+        step = quality._tree(g, h, 2)
+        if gain(0, cut) + gain(cut, n) - gain(0, n) > 1e-6:
+            assert np.allclose(step[:cut], g[:cut].sum() / (h[:cut].sum() + 1)) and np.allclose(step[cut:], g[cut:].sum() / (h[cut:].sum() + 1))
+
+
+def test_working_names_survive(docs):
+    """Columns that are called like the operators' own keep their values."""
+    for out in (sharding.shard_by_bytes(docs, 4), lines.dedup_lines(docs), tokens.token_trees(docs)):
+        for c in ("__h", "__t", "__size", "__quality", "__row", "__kept", "cid"):
+            assert out.filter(F.col(f"`{c}`") != c).isEmpty(), c
+
+
+def test_embeddings_at_the_threshold(spark):
+    """Cosine 0.96 as 24 of 25 against 0.28 as 7 of 25: exact numbers on both sides of 0.95, and exactly at a threshold of 0.8."""
+    rows = [(1, [1.0, 0.0]), (2, [24.0, 7.0]), (3, [7.0, 24.0]), (4, [-1.0, 0.0]), (5, [3.0, 4.0]), (6, [4.0, 3.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumns({c: F.lit(c) for c in ("e", "rep", "n", "cid", "codes", "links", "component", "d", "t", "c")})
+    got = {r.vec_id: (r.n_links, r.component_id, r.kept) for r in embeddings.link_embeddings(df).collect()}
+    unit = lambda v: np.array(v) / np.linalg.norm(v)
+    want = {i: sum(float(unit(x) @ unit(y)) >= 0.95 for j, y in rows if j != i) for i, x in rows}
+    assert {i: g[0] for i, g in got.items()} == want and want[1] == 1 and got[4] == (0, 4, True)
