@@ -129,9 +129,9 @@ def collapse_equal(collection: Collection) -> tuple[Collection, DataFrame]:
     classes = collection.sets.groupBy("n", "toks").agg(F.min("sid").alias("class_id"))
     members = collection.sets.join(classes, ["n", "toks"]).select("sid", "class_id")
     sets = classes.select(F.col("class_id").alias("sid"), "n", "toks")
-    if collection.scratch:
-        sets, members = collection.scratch.save(sets, "class_sets"), collection.scratch.save(members, "class_members")
     scratch = Scratch(collection.spark, "classes") if collection.scratch else None
+    if scratch:
+        sets, members = scratch.save(sets, "sets"), scratch.save(members, "members")
     return Collection(sets, collection.vocab, 0, scratch), members
 
 
