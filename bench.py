@@ -1,7 +1,7 @@
 """Headline joins with and without the bitmap filter; prints one JSON line.
 
 Preparation (reading, ordering, encoding, sketches) is excluded from the join times and reported beside them. The two
-forms of a join take turns, and the median of three runs counts.
+forms of a join take turns, and the mean of two runs counts.
 """
 
 from __future__ import annotations
@@ -51,7 +51,7 @@ def main() -> None:
                 if workload in ("doc_words", "page_words") and label == "ELL" or workload in ("user_evt_dow", "emb_pos") and label == "GRP":
                     continue
                 joined = lambda bits: join_collections(c, None, spec, method, bitmap=bits, **options)  # noqa: B023, E731
-                took = experiments.interleaved({"orig": lambda: joined(None), "hbf": lambda: joined(BitmapSpec("auto", b))})  # noqa: B023
+                took = experiments.interleaved({"orig": lambda: joined(None), "hbf": lambda: joined(BitmapSpec("auto", b))}, 2)  # noqa: B023
                 for form, sec in took.items():
                     queries[f"{workload}_{t}_{label}_{form}"] = round(sec, 3)
                 rows.append((workload, label, t, took["orig"], took["hbf"]))
