@@ -35,12 +35,12 @@ NUM, DEN, CELLS, BROADCAST_ROWS, STAR_ROWS, ONE_WORD, PASSES = 4, 5, 1 << 16, 50
 _LAST = 2**63 - 1
 
 
-def line_words(line: Column, of=F.xxhash64) -> Column:
-    """Distinct words of a line as ``of`` them (64-bit hashes); blanks, tabs, carriage returns and form feeds separate words."""
+def line_words(line: Column) -> Column:
+    """Distinct words of a line as 64-bit hashes; blanks, tabs, carriage returns and form feeds separate words."""
     low = F.lower(line)
     odd = F.contains(line, F.lit("\t")) | F.contains(line, F.lit("\r")) | F.contains(line, F.lit("\x0b")) | F.contains(line, F.lit("\x0c"))
     words = F.when(odd, F.split(low, "[ \\t\\x0B\\f\\r]+")).otherwise(F.split(low, " "))  # one blank splits without a pattern
-    return F.array_distinct(F.transform(F.array_remove(words, ""), lambda w: of(w)))
+    return F.array_distinct(F.transform(F.array_remove(words, ""), lambda w: F.xxhash64(w)))
 
 
 def has_words(line: Column) -> Column:
@@ -82,10 +82,10 @@ def _bounds(num: int, den: int) -> Column:
 def _classes(docs: DataFrame, num: int, den: int) -> DataFrame:
     """Lines of equal word sets as one row: size, bitmap, rarest words (the prefix) and the first line's place."""
     cells = _rarity(docs)
-    rank = lambda w: F.get(cells, w.bitwiseAND(F.lit(CELLS - 1)).cast("int"))
+    # lambdas are interpreted: one hash a word, no cast of the index, and no null that would have longs sorted as objects
+    placed = lambda w: cells[w.bitwiseAND(F.lit(CELLS - 1))].bitwiseOR(F.shiftrightunsigned(w, 8))
     lines = docs.filter("t IS NOT NULL").select("d", "h", F.posexplode(F.split("t", "\n")).alias("ln", "line")).filter(has_words(F.col("line")))
-    placed = lambda w: rank(F.xxhash64(w)).bitwiseOR(F.shiftrightunsigned(F.xxhash64(w), 8))
-    words = lines.select("d", "h", "ln", F.sort_array(line_words(F.col("line"), placed)).alias("order"))
+    words = lines.select("d", "h", "ln", F.sort_array(F.array_distinct(F.transform(line_words(F.col("line")), placed))).alias("order"))
     bit = lambda w: F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))
     parity = lambda words: F.aggregate(words, F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
     n = F.size("order").cast("long")
