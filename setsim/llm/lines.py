@@ -10,7 +10,7 @@ then line number) has a Jaccard similarity of ``num/den`` or more with it.
    position and state.
    Classes that meet at a word pass length, positional and bitmap bounds inside the plan; survivors are verified on the
    full word sets.
-4. At their rarest words all classes first meet only the earliest class posted there. A class that it makes redundant
+4. At their ``STAR_WORDS`` rarest words all classes first meet only the earliest class posted there. A class that it makes redundant
    is settled: a group of m near copies costs m verifications. A frequent word is salted into groups of about
    ``STAR_ROWS`` classes, each with an earliest class of its own. Then all pairs meet whose later class is still open.
 
@@ -31,7 +31,7 @@ from setsim.llm.columns import free_name
 from setsim.scratch import Scratch
 
 #: ``BROADCAST_ROWS`` counts longs: at most 4 MB are sent to every executor.
-NUM, DEN, CELLS, BROADCAST_ROWS, STAR_ROWS, ONE_WORD, PASSES = 4, 5, 1 << 16, 500_000, 100_000, 48, 2
+NUM, DEN, CELLS, BROADCAST_ROWS, STAR_ROWS, STAR_WORDS, ONE_WORD, PASSES = 4, 5, 1 << 16, 500_000, 100_000, 4, 48, 2
 _LAST = 2**63 - 1
 
 
@@ -85,7 +85,7 @@ def _classes(docs: DataFrame, num: int, den: int) -> DataFrame:
     # lambdas are interpreted: one hash a word, no cast of the index, and no null that would have longs sorted as objects
     placed = lambda w: cells[w.bitwiseAND(F.lit(CELLS - 1))].bitwiseOR(F.shiftrightunsigned(w, 8))
     lines = docs.filter("t IS NOT NULL").select("d", "h", F.posexplode(F.split("t", "\n")).alias("ln", "line")).filter(has_words(F.col("line")))
-    words = lines.select("d", "h", "ln", F.sort_array(F.array_distinct(F.transform(line_words(F.col("line")), placed))).alias("order"))
+    words = lines.select("d", "h", "ln", F.sort_array(F.transform(line_words(F.col("line")), placed)).alias("order"))
     bit = lambda w: F.call_function("shiftleft", F.lit(1).cast("long"), w.bitwiseAND(F.lit(63)).cast("int"))
     parity = lambda words: F.aggregate(words, F.lit(0).cast("long"), lambda acc, w: acc.bitwiseXOR(bit(w)))
     n = F.size("order").cast("long")
@@ -127,7 +127,7 @@ def redundant_lines(docs: DataFrame, scratch: Scratch, *, num: int = NUM, den: i
 
     # first every class meets only the earliest class at its rarest words (the shorter of its two prefixes)
     short = (F.col("n") - _needed("n", "n", num, den) + 1).cast("int")
-    rarest = classes.select(F.col("cid").alias("ca"), "d", "n", F.col("w").alias("wa"), F.col("v").alias("va"), F.posexplode(F.slice("prefix", 1, short)).alias("p", "word"))
+    rarest = classes.select(F.col("cid").alias("ca"), "d", "n", F.col("w").alias("wa"), F.col("v").alias("va"), F.posexplode(F.slice("prefix", 1, F.least(short, F.lit(STAR_WORDS)))).alias("p", "word"))
     groups = F.pow(F.lit(2.0), F.shiftright("word", 32) / 4) / STAR_ROWS  # by the frequency of the word's cell
     salt = F.when(groups > 1, F.pmod(F.xxhash64("ca"), F.ceil(groups))).otherwise(F.lit(0).cast("long"))
     rarest = rarest.select("ca", "d", "wa", "va", "word", _packed("n", "p").alias("ma"), salt.alias("salt"))
