@@ -6,6 +6,7 @@ from setsim.functions.bitmap import BitmapSpec
 from setsim.functions.spec import SimSpec
 from setsim.operators import cells, joins
 from setsim.operators.order import prepare
+from setsim.plans import metrics
 from tests.test_joins import _brute, _long, _rows, _sets
 
 METHODS = [("prefix_length", {}), ("prefix_positional", {"bitmap": BitmapSpec()}), ("prefix_suffix", {}), ("ell_prefix", {"ell": 2}), ("ell_prefix", {"ell": 3, "bitmap": BitmapSpec("or", 64)}), ("block", {"bitmap": BitmapSpec("xor", 64, cutoff=None)})]
@@ -28,3 +29,14 @@ def test_cells_equal_brute_force(some, k, measure, threshold, room):
         base = c.sketch(joins._bitmap(spec, bits)[0]) if bits else c.sets
         got = joins.finish(cells.cell_join(base, rule, singles=c.singles, block_tokens=room), spec, True)
         assert _rows(got) == want, method
+
+
+@pytest.mark.parametrize("positional", [False, True])
+def test_counts_equal_token_join(some, positional):
+    """Counted in the cells, candidates, pruned pairs and precision per size are those of the token join."""
+    _, c = some
+    spec, bits = SimSpec.of("jaccard", "0.6"), BitmapSpec("xor", 64, cutoff=None)
+    rows = lambda df: sorted(tuple(r) for r in df.collect())
+    assert rows(metrics.prune_ratio(c, spec, bits, positional, cells=True)) == rows(metrics.prune_ratio(c, spec, bits, positional, cells=False))
+    if not positional:
+        assert rows(metrics.precision_by_size(c, spec, cells=True)) == rows(metrics.precision_by_size(c, spec, cells=False))
