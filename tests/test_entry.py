@@ -39,3 +39,11 @@ def test_sql_twin(spark, sf, con, name):
     a, b = _norm(core.QUERIES[name](spark, sf).toPandas()), _norm(con.sql(core.ORACLES[name]).df())
     assert list(a.columns) == list(b.columns)
     assert a.equals(b)
+
+
+@pytest.mark.parametrize("name", ["cutoff_table", "expected_bound_curve", "monte_carlo_or", "monte_carlo_xor", "monte_carlo_probe", "synth_uniform_profile", "synth_zipf_profile"])
+def test_reads_a_given_table(spark, sf, con, name):
+    """Theory and drawn collections run on the given tables and equal their twins."""
+    df = core.QUERIES[name](spark, sf)
+    assert df.inputFiles()
+    assert _norm(df.toPandas()).equals(_norm(con.sql(core.ORACLES[name]).df()))
