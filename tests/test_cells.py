@@ -1,6 +1,7 @@
 """Joins in cells: the same pairs and counts as the token join, whatever the blocks."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from setsim.functions.bitmap import BitmapSpec
 from setsim.functions.spec import SimSpec
@@ -40,3 +41,25 @@ def test_counts_equal_token_join(some, positional):
     assert rows(metrics.prune_ratio(c, spec, bits, positional, cells=True)) == rows(metrics.prune_ratio(c, spec, bits, positional, cells=False))
     if not positional:
         assert rows(metrics.precision_by_size(c, spec, cells=True)) == rows(metrics.precision_by_size(c, spec, cells=False))
+
+
+def test_blocks_are_written_once(some, spark):
+    """Every cell is a task of its own that reads its two blocks: no shuffle stands behind them, and joins share the blocks."""
+    sets, c = some
+    spec, made = SimSpec.of("jaccard", "0.5"), []
+    kept = lambda make: made[0] if made else made.append(make()) or made[0]
+    for threshold in ("0.5", "0.8"):
+        spec = SimSpec.of("jaccard", threshold)
+        df = cells.cell_join(c.sets, joins.in_cells(c, spec, "prefix_length", cells=True), singles=c.singles, block_tokens=700, kept=kept)
+        assert "Exchange" not in df._jdf.queryExecution().executedPlan().toString()
+        assert 1 < df.rdd.getNumPartitions() <= len(cells.plan(c.sets, spec, 700)[2])
+        assert _rows(joins.finish(df, spec, True)) == _brute(sets, spec)
+    assert all(len(files) == 1 for files in made[0].values())
+
+
+def test_more_cells_than_are_read(some, monkeypatch):
+    sets, c = some
+    monkeypatch.setattr(cells, "READ_CELLS", 0)
+    spec = SimSpec.of("jaccard", "0.5")
+    df = cells.cell_join(c.sets, joins.in_cells(c, spec, "prefix_length", cells=True), singles=c.singles, block_tokens=700)
+    assert "Exchange" in df._jdf.queryExecution().executedPlan().toString() and _rows(joins.finish(df, spec, True)) == _brute(sets, spec)

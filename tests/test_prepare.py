@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from setsim.operators import order
 from setsim.operators.order import prepare, prepare_pair
-from setsim.sources.workloads import from_arrays
+from setsim.sources.workloads import from_arrays, long_sets
 from tests.test_joins import _long, _sets
 
 
@@ -34,3 +34,19 @@ def test_unique_ids_need_no_shuffle(spark):
     once, twice = made([(1, [2.0, 2.0, None]), (2, [2.0]), (None, [3.0]), (None, [3.0])]), made([(1, [2.0, 2.0]), (1, [2.0, 3.0])])
     assert "Exchange" not in plan(once) and sorted(map(tuple, once.collect())) == [(1, "2.0"), (2, "2.0")]
     assert sorted(map(tuple, twice.collect())) == [(1, "2.0"), (1, "3.0")]
+
+
+def test_shared_ids_shuffle_rows_only(spark):
+    """Rows of an id meet before their tokens are made: the tokens are distinct without a shuffle of their own."""
+    df = spark.createDataFrame([(1, "a b b"), (1, "b c"), (2, "c"), (None, "d")], "sid int, t string")
+    made = from_arrays(df, "sid", F.split("t", " "))
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1 and plan.index("Generate") < plan.index("Exchange")  # the shuffle comes first: it stands below
+    assert sorted(map(tuple, made.collect())) == [(1, "a"), (1, "b"), (1, "c"), (2, "c")]
+
+
+def test_numbers_are_distinct_before_they_are_texts(spark):
+    df = spark.createDataFrame([(1, 7), (1, 7), (1, 70), (2, None)], "sid int, t long")
+    made = long_sets(df, "sid", "t")
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "tok" in plan and "string" not in plan[plan.index("Exchange") :] and sorted(map(tuple, made.collect())) == [(1, "7"), (1, "70")]
