@@ -63,3 +63,18 @@ def test_more_cells_than_are_read(some, monkeypatch):
     spec = SimSpec.of("jaccard", "0.5")
     df = cells.cell_join(c.sets, joins.in_cells(c, spec, "prefix_length", cells=True), singles=c.singles, block_tokens=700)
     assert "Exchange" in df._jdf.queryExecution().executedPlan().toString() and _rows(joins.finish(df, spec, True)) == _brute(sets, spec)
+
+
+def test_bits_give_the_overlap(monkeypatch, spark):
+    """Where at most 64 tokens exist, the overlaps counted on bits are not counted again token by token."""
+    from setsim.functions.bitmap import attach
+
+    sets = _sets(4, n=60, universe=40, most=30)
+    c, spec, bits = prepare(_long(spark, sets)), SimSpec.of("jaccard", "0.5"), BitmapSpec("or", 64)
+    table = attach(c.sets, bits).withColumn("block", F.lit(0)).select("block", "sid", "n", "w0", "toks")
+    packed = table.mapInArrow(cells._pack(("w0",), c.singles), "block int, sid long, n int, w0 long, lo binary, hi binary").toArrow()
+    block = cells.Block(packed, ("w0",))
+    monkeypatch.setattr(cells, "overlap_of", None)
+    found = [b for b in cells.work(block, block, cells.rule_of("prefix_length", spec, bitmap=bits), None, None)]
+    got = {tuple(sorted((r["sid_r"], r["sid_s"]))): r["overlap"] for b in found for r in b.to_pylist()}
+    assert got and got == {x[:2]: x[4] for x in _brute(sets, spec)}
