@@ -78,3 +78,18 @@ def test_bits_give_the_overlap(monkeypatch, spark):
     found = [b for b in cells.work(block, block, cells.rule_of("prefix_length", spec, bitmap=bits), None, None)]
     got = {tuple(sorted((r["sid_r"], r["sid_s"]))): r["overlap"] for b in found for r in b.to_pylist()}
     assert got and got == {x[:2]: x[4] for x in _brute(sets, spec)}
+
+
+@pytest.mark.parametrize("sent", [0, 1000])
+def test_equal_sets_meet_once(sent, monkeypatch, spark):
+    """A collection with many copies is joined by one set per class; pairs of members and of copies are all there, also over blocks."""
+    few = _sets(5, n=30, universe=30, most=12)
+    sets = [(sid + 1000 * k, toks) for k in range(9) for sid, toks in few]
+    c, seen, plain = prepare(_long(spark, sets)), [], cells.cell_join
+    monkeypatch.setattr(cells, "cell_join", lambda base, *a, **k: seen.append(base.count()) or plain(base, *a, **k))
+    monkeypatch.setattr(joins, "SENT_MEMBERS", sent)
+    monkeypatch.setattr(joins.cand, "GROUP_BLOCK", 4)
+    for spec in (SimSpec.of("cosine", "0.8"), SimSpec.of("jaccard", "0.6")):
+        got = joins.join_collections(c, None, spec, "prefix_length", bitmap=BitmapSpec(), cells=True)
+        assert _rows(got) == _brute(sets, spec)
+    assert seen == [len({frozenset(toks) for _, toks in sets})] * 2
