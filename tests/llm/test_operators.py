@@ -387,6 +387,24 @@ def test_lines(spark, docs, empty, tmp_path):
     assert lines.dedup_lines(empty).count() == 0
 
 
+def test_line_sets_are_aggregated_for_repeated_rows_only(spark, monkeypatch):
+    """Word sets to verify are neither sorted nor shuffled by class where no row is repeated; results are the same."""
+    rows = [(k, f"a{k % 3} b c d e f g h i j\n \t\n\x0b x{k}  y") for k in range(12)]
+    plans, save = {}, lines.Scratch.save
+
+    def seen(self, df, name, **more):
+        plans[name] = df._jdf.queryExecution().executedPlan().toString()
+        return save(self, df, name, **more)
+
+    monkeypatch.setattr(lines.Scratch, "save", seen)
+    want = {k: "\n".join([text.split("\n")[0]] * (k == 0) + [" \t", text.split("\n")[2]]) for k, text in rows}
+    for given, times in ((rows, 1), (rows + rows[:5], 2)):
+        out = lines.dedup_lines(spark.createDataFrame(given, "doc_id long, text string")).collect()
+        assert sorted((r.doc_id, r.text) for r in out) == sorted((k, want[k]) for k, _ in given)
+        assert ("SortAggregate" in plans["first_sets"]) == (times > 1)
+        assert "RLIKE" not in plans["classes"]
+
+
 def test_line_plan_is_native(docs):
     plan = lines.dedup_lines(docs)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
