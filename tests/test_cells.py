@@ -93,3 +93,51 @@ def test_equal_sets_meet_once(sent, monkeypatch, spark):
         got = joins.join_collections(c, None, spec, "prefix_length", bitmap=BitmapSpec(), cells=True)
         assert _rows(got) == _brute(sets, spec)
     assert seen == [len({frozenset(toks) for _, toks in sets})] * 2
+
+
+def _block(sets, words=1):
+    """A block of lists of tokens, with a bitmap of ``xor`` words."""
+    import numpy as np
+    import pyarrow as pa
+
+    load = np.array([np.bincount(np.array(s) % (64 * words), minlength=64 * words) & 1 for s in sets]).astype(np.uint8)
+    bits = np.packbits(load, axis=1, bitorder="little").view(np.int64)
+    names = tuple(f"w{k}" for k in range(words))
+    columns = {"block": pa.array([0] * len(sets), pa.int32()), "sid": pa.array(range(len(sets))), "n": pa.array([len(s) for s in sets], pa.int32())}
+    columns |= {w: pa.array(bits[:, k]) for k, w in enumerate(names)} | {"toks": pa.array([sorted(s) for s in sets], pa.list_(pa.int32()))}
+    return cells.Block(pa.Table.from_batches(list(cells._pack(names, 0)(iter([pa.record_batch(columns)])))), names), names
+
+
+@pytest.mark.parametrize("measure,threshold,few,words", [("jaccard", "0.7", 0, 1), ("cosine", "0.8", 0, 4), ("dice", "0.6", 64, 1), ("overlap", "40", 0, 5), ("jaccard", "0.05", 0, 1)])
+def test_tiles_keep_all_similar_pairs(monkeypatch, measure, threshold, few, words):
+    import random
+
+    import numpy as np
+
+    rng = random.Random(7)
+    sets = [rng.sample(range(3000), rng.randint(1, 700)) for _ in range(60)]
+    sets += [list({*rng.choice(sets)[: rng.randint(1, 900)], *rng.sample(range(3000), 20)}) for _ in range(60)]
+    block, names = _block(sets, words)
+    spec = SimSpec.of(measure, threshold)
+    for tile in ((64, 4096), (3, 7)):
+        monkeypatch.setattr(cells, "TILE", tile)
+        monkeypatch.setattr(cells, "FEW", few)
+        found = [cells.work(block, block, cells.Rule(spec, words=names, all_pairs=True), np.zeros(3001, np.uint8), None)]
+        rows = [tuple(r.values()) for batches in found for batch in batches for r in batch.to_pylist()]
+        want = {(min(i, j), max(i, j), o) for i, a in enumerate(sets) for j, b in enumerate(sets[:i]) if spec.accepts(o := len({*a} & {*b}), len(a), len(b))}
+        assert len(rows) == len(want) and {(min(r[:2]), max(r[:2]), r[4]) for r in rows} == want
+
+
+def test_full_bitmaps_do_not_send_all_pairs_to_verification(monkeypatch):
+    """Bitmaps and the guard of 512 bits say nothing of sets of 1,500 tokens; parities that fit the sizes do."""
+    import random
+
+    import numpy as np
+
+    rng = random.Random(3)
+    block, names = _block([rng.sample(range(60_000), 1500) for _ in range(80)])
+    verified, overlap_of = [], cells.overlap_of
+    monkeypatch.setattr(cells, "overlap_of", lambda x, y, i, j, mark: verified.append(len(i)) or overlap_of(x, y, i, j, mark))
+    guard = block.parity()
+    assert not list(cells.work(block, block, cells.Rule(SimSpec.of("jaccard", "0.7"), words=names, all_pairs=True), np.zeros(60_001, np.uint8), (guard, guard)))
+    assert sum(verified) < 80 and block.tok.itemsize == 4
